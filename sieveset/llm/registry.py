@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import chat, exact_dedup, mixing, sharding, simhash, url_rules
+from . import chat, exact_dedup, mixing, packing, sharding, simhash, url_rules
 
 Query = Callable[[SparkSession, str], DataFrame]
 
@@ -16,6 +16,7 @@ def queries() -> dict[str, Query]:
         "op2_sharding": sharding.query,
         "op3_source_mixing": mixing.query,
         "op4_exact_dedup": exact_dedup.query,
+        "op5_packing": packing.query,
         "op8_chat_format": chat.query,
         "op9_url_filter": url_rules.query,
         "op10_simhash": simhash.query,
