@@ -6,13 +6,14 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import chat, exact_dedup, mixing, packing, sharding, simhash, url_rules
+from . import chat, exact_dedup, mixing, packing, quality, sharding, simhash, url_rules
 
 Query = Callable[[SparkSession, str], DataFrame]
 
 
 def queries() -> dict[str, Query]:
     return {
+        "op1_quality_rules": quality.query,
         "op2_sharding": sharding.query,
         "op3_source_mixing": mixing.query,
         "op4_exact_dedup": exact_dedup.query,
