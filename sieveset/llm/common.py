@@ -6,6 +6,7 @@ import atexit
 import shutil
 import tempfile
 import uuid
+from collections.abc import Callable
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -54,6 +55,24 @@ def lower_ascii(col: Column) -> Column:
     return F.translate(col, "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
 
 
+_BATCH_KEY, _BATCH_DEFAULT, _BATCH = "spark.sql.execution.arrow.maxBytesPerBatch", "67108864b", "4m"
+
+
+def small_batches(spark: SparkSession) -> None:
+    """Bound the bytes that go to Python at once, since rows here are whole texts.
+
+    This is a runtime setting; one that the user chose stays.
+    """
+    if spark.conf.get(_BATCH_KEY, _BATCH_DEFAULT) == _BATCH_DEFAULT:
+        spark.conf.set(_BATCH_KEY, _BATCH)
+
+
+def to_python(df: DataFrame, function: Callable, schema: T.StructType) -> DataFrame:
+    """``mapInArrow`` with batches of bounded bytes."""
+    small_batches(df.sparkSession)
+    return df.mapInArrow(function, schema)
+
+
 #: A key counts as hot from this share of all rows on, so that hot keys number 1024 at most
 #: and a table of them can always be broadcast.
 HOT_SHARE = 1024

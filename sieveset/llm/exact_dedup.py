@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import LONG, STRING, attach, fields, lower_ascii, materialise, table
+from .common import LONG, STRING, attach, fields, lower_ascii, materialise, table, to_python
 
 #: Bytes of a chunk. Documents of more are hashed by several tasks.
 CHUNK = 65_536
@@ -108,11 +108,11 @@ def fingerprints(docs: DataFrame) -> DataFrame:
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), data.alias("text"))
     rows = rows.withColumn("raw", F.xxhash64("text"))
     kinds = fields(doc_id=LONG, raw=LONG, n_bytes=LONG, h1=LONG, h2=LONG, text_sha256=STRING)
-    small = rows.where(F.octet_length("text") <= CHUNK).mapInArrow(_hash_whole, kinds)
+    small = to_python(rows.where(F.octet_length("text") <= CHUNK), _hash_whole, kinds)
     huge = rows.where(F.octet_length("text") > CHUNK).withColumns({"n_bytes": F.octet_length("text").cast("long"), "copy": F.monotonically_increasing_id(), "text_sha256": F.sha2(lower_ascii(F.col("text").cast("string")).cast("binary"), 256)})
     cut = huge.select("doc_id", "raw", "n_bytes", "text_sha256", "copy", _chunks(F.col("text")).alias("at", "chunk"))
     cut = cut.withColumn("after", F.greatest(F.lit(0), F.col("n_bytes") - (F.col("at") + 1) * CHUNK)).drop("at").repartition("doc_id", "after")
-    shares = cut.mapInArrow(_hash_chunks, fields(doc_id=LONG, raw=LONG, n_bytes=LONG, text_sha256=STRING, copy=LONG, h1=LONG, h2=LONG))
+    shares = to_python(cut, _hash_chunks, fields(doc_id=LONG, raw=LONG, n_bytes=LONG, text_sha256=STRING, copy=LONG, h1=LONG, h2=LONG))
     combined = shares.groupBy("doc_id", "raw", "n_bytes", "text_sha256", "copy").agg(*((F.sum(h) % p).alias(h) for h, p in zip(("h1", "h2"), PRIMES, strict=True))).drop("copy")
     return materialise(small.unionByName(combined).withColumn("uid", F.monotonically_increasing_id()), "fingerprints")
 
@@ -162,7 +162,8 @@ def differing_copies(docs: DataFrame, copies: DataFrame, n_copies: int) -> DataF
         tasks = F.broadcast(tasks)
     cut = _texts(docs).join(tasks, ["doc_id", "raw"]).select("doc_id", "raw", "rank", "group", _chunks(F.col("text")).alias("at", "chunk"))
     placed = cut.select(F.concat_ws(":", "group", "at").alias("place"), "rank", "doc_id", "raw", "chunk")
-    return placed.repartition("place").sortWithinPartitions("place", "rank").mapInArrow(_compare, fields(doc_id=LONG, raw=LONG)).distinct()
+    dealt = placed.repartition("place").sortWithinPartitions("place", "rank")
+    return to_python(dealt, _compare, fields(doc_id=LONG, raw=LONG)).distinct()
 
 
 def grouped_copies(docs: DataFrame) -> tuple[DataFrame, DataFrame, int]:

@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import BINARY, LONG, fields, materialise, table
+from .common import BINARY, LONG, fields, materialise, table, to_python
 
 LENGTH = 4096
 END_ID = 2
@@ -96,7 +96,7 @@ def tokenized(docs: DataFrame, path: str, length: int = LENGTH, end_id: int = EN
     """Pieces of at most ``length`` ids. Ids of shorter ones are kept, two bytes each, as they may be cut further."""
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     kinds = fields(doc_id=LONG, doc_tokens=LONG, start=LONG, length=LONG, ids_crc32=LONG, ids=BINARY)
-    return rows.mapInArrow(_tokenize(path, length, end_id), kinds)
+    return to_python(rows, _tokenize(path, length, end_id), kinds)
 
 
 # --- patterns ------------------------------------------------------------------------------------------------------
@@ -311,7 +311,7 @@ def pack(docs: DataFrame, path: str | None = None, length: int = LENGTH, end_id:
     cuts = met.select("uid", F.struct((lo - F.col("f0")).alias("lo"), (hi - F.col("f0")).alias("hi"), F.col("seq").alias("sequence"), (F.col("base") + lo - F.col("s0")).alias("offset")).alias("part"))
     parts = cuts.groupBy("uid").agg(F.array_sort(F.collect_list("part")).alias("parts"))
     filled = made.where(f"length < {length}").select("uid", "doc_id", "doc_tokens", "start", "ids").join(parts, "uid")
-    filled = filled.drop("uid").mapInArrow(_cut_ids, fields(**{c: LONG for c in COLUMNS}))
+    filled = to_python(filled.drop("uid"), _cut_ids, fields(**{c: LONG for c in COLUMNS}))
 
     n_seq = n_full + len(tails)
     numbered = _numbered(whole, n_seq)

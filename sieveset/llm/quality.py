@@ -22,7 +22,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import table
+from .common import small_batches, table
 
 #: Labelled rows that a model is fitted on, at most.
 MAX_LABELLED = 20_000
@@ -82,6 +82,7 @@ def with_statistics(docs: DataFrame, name: str, text: str = "text") -> DataFrame
         rows = [statistics_of(t.as_py() or b"") for t in texts]
         return pa.StructArray.from_arrays([pa.array([r[i] for r in rows], pa.float64()) for i in range(len(STATISTICS))], list(STATISTICS))
 
+    small_batches(docs.sparkSession)
     return docs.withColumn(name, stats(F.coalesce(F.col(text), F.lit("")).cast("binary")))
 
 

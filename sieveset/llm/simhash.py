@@ -24,7 +24,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import LONG, attach, fields, materialise, table
+from .common import LONG, attach, fields, materialise, table, to_python
 from .components import components
 
 SEED = 42
@@ -165,9 +165,9 @@ def _compare(max_bits: int):
 
 def links(distinct: DataFrame, max_bits: int = MAX_BITS) -> DataFrame:
     """(u, v): links between distinct fingerprints that keep their components."""
-    spread = distinct.mapInArrow(_replicate, T.StructType([T.StructField("anchor", LONG), T.StructField("home", T.BooleanType()), T.StructField("fp", LONG)]))
+    spread = to_python(distinct, _replicate, T.StructType([T.StructField("anchor", LONG), T.StructField("home", T.BooleanType()), T.StructField("fp", LONG)]))
     dealt = spread.repartition("anchor").sortWithinPartitions("anchor")
-    return dealt.mapInArrow(_compare(max_bits), fields(u=LONG, v=LONG)).distinct()
+    return to_python(dealt, _compare(max_bits), fields(u=LONG, v=LONG)).distinct()
 
 
 def near_copies(docs: DataFrame, words: int = WORDS, seed: int = SEED, max_bits: int = MAX_BITS) -> DataFrame:
@@ -175,7 +175,7 @@ def near_copies(docs: DataFrame, words: int = WORDS, seed: int = SEED, max_bits:
     component_size and class_size (rows with this fingerprint)."""
     data = F.coalesce(F.col("text"), F.lit("")).cast("binary")
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64(data).alias("raw"), data.alias("text"))
-    prints = materialise(rows.mapInArrow(_fingerprints(words, seed), fields(doc_id=LONG, raw=LONG, fp=LONG)), "simhash")
+    prints = materialise(to_python(rows, _fingerprints(words, seed), fields(doc_id=LONG, raw=LONG, fp=LONG)), "simhash")
     n = prints.count()
     nodes = materialise(prints.groupBy("fp").agg(F.min(F.struct("doc_id", "raw")).alias("least"), F.count("*").alias("class_size")), "simhash-nodes")
     roots = components(links(nodes.select("fp"), max_bits))
