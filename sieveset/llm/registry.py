@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import chat, exact_dedup, mixing, packing, quality, repeats, sharding, simhash, url_rules
+from . import chat, exact_dedup, images, mixing, packing, quality, repeats, sharding, simhash, url_rules
 
 Query = Callable[[SparkSession, str], DataFrame]
 
@@ -19,6 +19,7 @@ def queries() -> dict[str, Query]:
         "op4_exact_dedup": exact_dedup.query,
         "op5_packing": packing.query,
         "op6_repeated_passages": repeats.query,
+        "op7_image_copies": images.query,
         "op8_chat_format": chat.query,
         "op9_url_filter": url_rules.query,
         "op10_simhash": simhash.query,
