@@ -20,6 +20,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -33,7 +34,7 @@ TOKENIZER = "word_bpe_49k.json"
 #: Rows that are ranked together and slices of running sums, on average at most.
 SLICE_ROWS = 32_768
 #: Words whose ids a task remembers.
-CACHE_WORDS = 400_000
+CACHE_WORDS = 600_000
 
 
 def tokenizer_path(name: str = TOKENIZER) -> str:
@@ -45,49 +46,96 @@ def tokenizer_path(name: str = TOKENIZER) -> str:
 class WordTokenizer:
     """Ids of whole texts, word by word.
 
-    The vocabulary's rules never join characters across white space and drop it, so a text's ids are those of its
-    words at spaces and line ends, one after another; each distinct word is encoded once.
+    The vocabulary's rules never join characters across white space, nor letters with what follows them, and drop white
+    space. So a text's ids are those of its words, one after another, and each distinct word is encoded once. A-Z are
+    lower-cased first, as the rules do. Texts that hold the opening of a special token are encoded whole.
     """
 
     def __init__(self, path: str):
         from tokenizers import Tokenizer
 
         self.inner = Tokenizer.from_file(path)
-        self.known: dict[str, bytes] = {}
-
-    def ids_of(self, texts: list[str]) -> list[bytes]:
-        """Each text's ids as little-endian unsigned 32-bit numbers, in bytes."""
-        parts = [t.replace("\n", " ").split(" ") for t in texts]
-        known = self.known
-        if len(known) > CACHE_WORDS:
-            known.clear()
-        new = list({w for p in parts for w in p if w not in known})
-        for at in range(0, len(new), 20_000):
-            some = new[at : at + 20_000]
-            for w, e in zip(some, self.inner.encode_batch(some, add_special_tokens=False), strict=True):
-                known[w] = np.array(e.ids, "<u4").tobytes()
-        return [b"".join([known[w] for w in p]) for p in parts]
+        self._forget()
+
+    def _forget(self) -> None:
+        self.known: dict[str, int] = {}
+        self.flat, self.start, self.size = np.zeros(1 << 16, np.uint32), np.zeros(1 << 14, np.int64), np.zeros(1 << 14, np.int64)
+        self.used = 0
+
+    def _learn(self, words: list[str]) -> None:
+        """Plain words go to the model itself; all else passes the vocabulary's other rules first."""
+        plain = [w.isascii() and w.isalpha() for w in words]
+        model = self.inner.model
+        ids = {w: [t.id for t in model.tokenize(w)] for w, p in zip(words, plain, strict=True) if p}
+        rest = [w for w, p in zip(words, plain, strict=True) if not p]
+        for at in range(0, len(rest), 10_000):
+            some = rest[at : at + 10_000]
+            ids.update((w, e.ids) for w, e in zip(some, self.inner.encode_batch_fast(some, add_special_tokens=False), strict=True))
+        first = len(self.known)
+        self.known.update(zip(ids, range(first, first + len(ids)), strict=True))
+        sizes = np.fromiter(map(len, ids.values()), np.int64, len(ids))
+        total = int(sizes.sum())
+        while self.used + total > len(self.flat):
+            self.flat = np.concatenate([self.flat, np.zeros_like(self.flat)])
+        while first + len(ids) > len(self.start):
+            self.start, self.size = (np.concatenate([x, np.zeros_like(x)]) for x in (self.start, self.size))
+        self.flat[self.used : self.used + total] = np.fromiter((i for x in ids.values() for i in x), np.uint32, total)
+        self.start[first : first + len(ids)] = self.used + np.cumsum(sizes) - sizes
+        self.size[first : first + len(ids)] = sizes
+        self.used += total
+
+    def ids_of(self, texts: pa.Array) -> list[np.ndarray]:
+        """Each text's ids; null is an empty text."""
+        texts = pc.fill_null(texts, "")
+        special = np.flatnonzero(pc.match_substring(texts, "<|").to_numpy(zero_copy_only=False))
+        whole = {int(i): np.array(self.inner.encode(texts[int(i)].as_py(), add_special_tokens=False).ids, np.uint32) for i in special}
+        if whole:
+            texts = pc.if_else(pc.match_substring(texts, "<|"), "", texts)
+        texts = pc.ascii_lower(pc.replace_substring(texts, "\n", " "))
+        texts = pc.replace_substring_regex(texts, r"([a-z])([,.]+) ", r"\1 \2 ")
+        words = pc.split_pattern(texts, " ")
+        coded = words.flatten().dictionary_encode()
+        distinct = coded.dictionary.to_pylist()
+        if len(self.known) > CACHE_WORDS:
+            self._forget()
+        if new := [w for w in distinct if w not in self.known]:
+            self._learn(new)
+        code = np.fromiter(map(self.known.__getitem__, distinct), np.int64, len(distinct))[coded.indices.to_numpy()]
+        sizes = self.size[code]
+        ends = np.cumsum(sizes)
+        out = self.flat[np.repeat(self.start[code] - (ends - sizes), sizes) + np.arange(int(sizes.sum()))]
+        cuts = np.r_[0, ends][np.cumsum(pc.list_value_length(words).to_numpy())]
+        found = np.split(out, cuts[:-1])
+        for i, ids in whole.items():
+            found[i] = ids
+        return found
+
+
+_TOKENIZERS: dict[str, WordTokenizer] = {}
+
+
+def _tokenizer(path: str) -> WordTokenizer:
+    """One for each Python worker, so words that earlier tasks met need no encoding."""
+    if path not in _TOKENIZERS:
+        _TOKENIZERS[path] = WordTokenizer(path)
+    return _TOKENIZERS[path]
 
 
 def _tokenize(path: str, length: int, end_id: int):
-    end = np.array([end_id], "<u4").tobytes()
-
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        words = WordTokenizer(path)
+        words = _tokenizer(path)
+        end = np.array([end_id], np.uint32)
         for batch in batches:
-            for at in range(0, batch.num_rows, 512):
-                part = batch.slice(at, 512)
-                out: list[tuple] = []
-                for doc, ids in zip(part.column("doc_id").to_pylist(), words.ids_of([t or "" for t in part.column("text").to_pylist()]), strict=True):
-                    data = ids + end
-                    n = len(data) // 4
-                    for start in range(0, n, length):
-                        piece = data[4 * start : 4 * (start + length)]
-                        whole = len(piece) == 4 * length
-                        kept = None if whole else np.frombuffer(piece, "<u4").astype("<u2").tobytes()
-                        out.append((doc, n, start, len(piece) // 4, zlib.crc32(piece), kept))
-                kinds = (pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.binary())
-                yield pa.RecordBatch.from_arrays([pa.array([r[i] for r in out], k) for i, k in enumerate(kinds)], ["doc_id", "doc_tokens", "start", "length", "ids_crc32", "ids"])
+            out: list[tuple] = []
+            for doc, ids in zip(batch.column("doc_id").to_pylist(), words.ids_of(batch.column("text")), strict=True):
+                ids = np.concatenate([ids, end]).astype("<u4", copy=False)
+                n = len(ids)
+                for start in range(0, n, length):
+                    piece = ids[start : start + length]
+                    kept = None if len(piece) == length else piece.astype("<u2").tobytes()
+                    out.append((doc, n, start, len(piece), zlib.crc32(piece), kept))
+            kinds = (pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.binary())
+            yield pa.RecordBatch.from_arrays([pa.array([r[i] for r in out], k) for i, k in enumerate(kinds)], ["doc_id", "doc_tokens", "start", "length", "ids_crc32", "ids"])
 
     return run
 
