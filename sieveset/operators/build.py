@@ -102,7 +102,7 @@ def merge_bloom(a: FilterSet, b: FilterSet) -> FilterSet:
     rows = merged.groupBy("shard").agg(F.transform(F.array_sort(F.collect_list(F.struct("at", "word"))), lambda x: x["word"]).alias("aux"), F.max("n").alias("n_keys"), F.first("lo").alias("capacity"), F.first("seed").alias("seed"), F.first("num_hashes").alias("num_hashes"))
     given = {"filter_id": F.lit("merged"), "kind": F.lit("bloom"), "shard_count": F.lit(a.shard_count), "fp_bits": F.lit(a.spec.fp_bits), "seg1": F.lit(0), "seg2": F.lit(0), "attempts": F.lit(1), "cells": F.expr("array()"), "bits_total": F.col("capacity"), "empty": F.lit(0), "empty_last": F.lit(0)}
     rows = rows.withColumns(given)
-    return FilterSet(materialise(rows.select(*(F.col(f.name).cast(f.dataType).alias(f.name) for f in schema(a.spec))), "filter"), a.spec, a.shard_count)
+    return FilterSet(materialise(rows.select(*(F.col(f.name) if f.name == "aux" else F.col(f.name).cast(f.dataType.simpleString()).alias(f.name) for f in schema(a.spec))), "filter"), a.spec, a.shard_count)
 
 
 def build_static_map(df: DataFrame, key: str, value: str, spec: FilterSpec) -> FilterSet:

@@ -41,6 +41,7 @@ class FilterSpec:
     rank: str = "two_level"
     bucket: int = 16
     max_kicks: int = 500
+    sized_for: int | None = None
 
     def __post_init__(self):
         if self.kind not in KINDS:
@@ -92,6 +93,8 @@ def role_seed(seed: int, role: int) -> int:
 
 
 def bloom_bits(n: int, spec: FilterSpec) -> int:
+    """With ``sized_for`` the room is that of so many keys, so filters of different sets have one shape and can merge."""
+    n = n if spec.sized_for is None else spec.sized_for
     return max(1, int((spec.bits_per_key or 8) * n))
 
 
