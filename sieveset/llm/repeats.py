@@ -35,10 +35,9 @@ GRAM = 48
 SLAB = 1 << 19
 _POSITION_BITS = 20
 #: Different spans of one anchor that one task sorts, at most.
-HOT_SPANS = 1024
+HOT_SPANS = 16_384
 #: Bytes that are sorted together, unless one anchor has more.
 SORT_BYTES = 1 << 18
-BROADCAST_ROWS = 500_000
 
 _BASE = 0x9E3779B97F4A7C15
 _INVERSE = pow(_BASE, -1, 1 << 64)
@@ -233,7 +232,7 @@ def repeated_spans(docs: DataFrame) -> DataFrame:
     edges = attach(spans, mixed, ["anchor"], spans.count(), "kinds").select("anchor", "kinds", "times", "at.*")
     edges = edges.groupBy("doc_id", "tag").agg(F.collect_list(F.struct("anchor", "kinds", "times", "start", "windows")).alias("list"))
     edges = materialise(edges, "repeat-edges")
-    picked = rows.join(F.broadcast(edges) if edges.agg(F.coalesce(F.sum(F.size("list")), F.lit(0))).first()[0] <= BROADCAST_ROWS else edges, ["doc_id", "tag"])
+    picked = rows.join(edges.hint("shuffle_hash"), ["doc_id", "tag"])  # as many rows as documents at most: dealt by id
     cut = F.transform("list", lambda e: e.withField("text", F.substring("text", (e["start"] + 1).cast("int"), (e["windows"] + WINDOW - 1).cast("int"))))
     texts = materialise(picked.select("doc_id", "tag", F.explode(cut).alias("e")).select("doc_id", "tag", "e.*"), "repeat-texts")
     dealt = texts.where(F.col("kinds") <= HOT_SPANS).repartition("anchor").sortWithinPartitions("anchor")
@@ -290,8 +289,7 @@ def _remove(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 def remove_repeats(docs: DataFrame) -> DataFrame:
     """Per document: doc_id, n_bytes, n_removed, n_spans, kept_sha256 and the kept bytes."""
     spans = materialise(repeated_spans(docs), "repeat-found")
-    small = spans.agg(F.coalesce(F.sum(F.size("spans")), F.lit(0))).first()[0] <= BROADCAST_ROWS
-    rows = _texts(docs).join(F.broadcast(spans) if small else spans, ["doc_id", "tag"], "left")
+    rows = _texts(docs).join(spans.hint("shuffle_hash"), ["doc_id", "tag"], "left")
     return to_python(rows.select("doc_id", "text", "spans"), _remove, fields(doc_id=LONG, n_bytes=LONG, n_removed=LONG, n_spans=LONG, kept_sha256=STRING, kept=BINARY))
 
 
