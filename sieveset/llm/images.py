@@ -1,7 +1,7 @@
 """Copies of images by local descriptors.
 
 Corners are found at several scales by the Harris measure. Each gets an orientation, the direction of its patch's centre of
-brightness, and 256 binary tests that are turned with it. Descriptors of a block of queries are filed in tables by 16 parts of 16
+brightness, and 256 binary tests that are turned with it. Descriptors of a block of queries are filed in tables by 10 parts of 24
 bits; a descriptor that agrees with a filed one in some part and in all but MAX_BITS bits is a match. Of the matches of two images
 the largest set that one similarity (shift, turn, scale) explains must reach MIN_INLIERS.
 
@@ -24,13 +24,13 @@ from pyspark.sql import types as T
 from .common import BINARY, INT, LONG, attach, fields, materialise, table, to_python
 
 SCALES = (1.0, 0.75, 0.5)
-#: Corners of one scale, at most: the strongest. They describe an image; rows are never capped.
-CORNERS = 36
+#: Corners at full scale, at most: the strongest; at others by area. They describe an image; rows are never capped.
+CORNERS = 40
 RADIUS = 10
 TESTS = 256
 TURNS = 36
-PARTS = 16
-MAX_BITS = 44
+PARTS = 10
+MAX_BITS = 24
 MIN_INLIERS = 11
 TOLERANCE = 2.5
 SEED = 3
@@ -94,7 +94,7 @@ def describe(image: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         y, x = np.nonzero((inner >= peak) & (inner > 1e-3))
         if not len(y):
             continue
-        best = np.lexsort((x, y, -inner[y, x]))[:CORNERS]
+        best = np.lexsort((x, y, -inner[y, x]))[: max(8, round(CORNERS * scale**2))]
         y, x = y[best], x[best]
         patch = smooth[y[:, None, None] + offset[:, None], x[:, None, None] + offset[None, :]] * disc
         angle = np.arctan2((patch * offset[:, None]).sum((1, 2)), (patch * offset[None, :]).sum((1, 2)))
@@ -122,18 +122,30 @@ def inliers(a: np.ndarray, b: np.ndarray) -> tuple[int, float, float]:
     """
     scale = b[:, 3] / a[:, 3]
     turn = b[:, 2] - a[:, 2]
+    c, s = (np.cos(turn) * scale)[:, None], (np.sin(turn) * scale)[:, None]
+    dy, dx = a[None, :, 0] - a[:, None, 0], a[None, :, 1] - a[:, None, 1]
+    y, x = b[:, None, 0] + c * dy + s * dx, b[:, None, 1] - s * dy + c * dx
+    ok = (np.abs(y - b[None, :, 0]) < TOLERANCE) & (np.abs(x - b[None, :, 1]) < TOLERANCE)
     best = (0, 0.0, 1.0)
-    for i in range(len(a)):
-        c, s = np.cos(turn[i]) * scale[i], np.sin(turn[i]) * scale[i]
-        dy, dx = a[:, 0] - a[i, 0], a[:, 1] - a[i, 1]
-        y, x = b[i, 0] + c * dy + s * dx, b[i, 1] - s * dy + c * dx
-        ok = (np.abs(y - b[:, 0]) < TOLERANCE) & (np.abs(x - b[:, 1]) < TOLERANCE)
-        n = min(len(np.unique(np.rint(a[ok, :2]), axis=0)), len(np.unique(np.rint(b[ok, :2]), axis=0))) if ok.sum() > best[0] else 0
+    for i in np.argsort(-ok.sum(1), kind="stable"):
+        if ok[i].sum() <= best[0]:
+            break
+        n = min(_places(a[ok[i]]), _places(b[ok[i]]))
         if n > best[0]:
             best = (n, float(turn[i]), float(scale[i]))
     return best
 
 
+def _places(x: np.ndarray) -> int:
+    return len({(round(y), round(z)) for y, z in x[:, :2].tolist()})
+
+
+def _parts(words: np.ndarray) -> np.ndarray:
+    """Each descriptor's parts of three bytes, as numbers."""
+    b = np.ascontiguousarray(words).view(np.uint8).reshape(-1, 32)[:, : 3 * PARTS].reshape(-1, PARTS, 3).astype(np.uint32)
+    return b[..., 0] | b[..., 1] << 8 | b[..., 2] << 16
+
+
 class QueryTables:
     """Descriptors of a block of queries, filed by each of their parts."""
 
@@ -142,22 +154,28 @@ class QueryTables:
         self.owner = np.concatenate([np.full(len(p), i) for i, (_, p, _) in enumerate(queries)] or [np.zeros(0, int)]).astype(np.int64)
         self.places = np.concatenate([p for _, p, _ in queries] or [np.zeros((0, 4))])
         self.words = np.ascontiguousarray(np.concatenate([w for _, _, w in queries] or [np.zeros((0, 4), np.uint64)]))
-        parts = self.words.view(np.uint16).reshape(-1, PARTS)
+        parts = _parts(self.words)
         self.order = [np.argsort(parts[:, k], kind="stable") for k in range(PARTS)]
-        self.bounds = [np.searchsorted(parts[o, k], np.arange(65537)) for k, o in enumerate(self.order)]
+        self.keys = [np.ascontiguousarray(parts[o, k]) for k, o in enumerate(self.order)]
 
     def search(self, places: np.ndarray, words: np.ndarray) -> list[tuple[int, int, float, float]]:
         """(query, inliers, turn, scale) of the queries that one image agrees with."""
         if not len(words) or not len(self.words):
             return []
-        parts = np.ascontiguousarray(words).view(np.uint16).reshape(-1, PARTS)
+        parts = _parts(words)
+        starts = [np.searchsorted(self.keys[k], parts[:, k], side="left") for k in range(PARTS)]
+        counts = [np.searchsorted(self.keys[k], parts[:, k], side="right") - lo for k, lo in enumerate(starts)]
         pairs = []
-        for k in range(PARTS):
-            lo, hi = self.bounds[k][parts[:, k]], self.bounds[k][parts[:, k].astype(int) + 1]
-            n = hi - lo
+        if sum(int(n.sum()) for n in counts) > len(words) * len(self.words):
+            # parts that most descriptors share: comparing all is less work than following the tables
+            for i, w in enumerate(words):
+                near = np.flatnonzero(np.bitwise_count(self.words ^ w).sum(1) <= MAX_BITS)
+                pairs.append(i * len(self.words) + near)
+            counts = []
+        for k, n in enumerate(counts):
             mine = np.repeat(np.arange(len(n)), n)
             if len(mine):
-                theirs = self.order[k][np.arange(len(mine)) - np.repeat(np.cumsum(n) - n, n) + np.repeat(lo, n)]
+                theirs = self.order[k][np.arange(len(mine)) - np.repeat(np.cumsum(n) - n, n) + np.repeat(starts[k], n)]
                 near = np.bitwise_count(words[mine] ^ self.words[theirs]).sum(1) <= MAX_BITS
                 pairs.append(mine[near] * len(self.words) + theirs[near])
         if not pairs:
@@ -168,6 +186,8 @@ class QueryTables:
         out = []
         for q in np.flatnonzero(np.bincount(owner) >= MIN_INLIERS):
             own = owner == q
+            if min(len(np.unique(theirs[own])), len(np.unique(mine[own]))) < MIN_INLIERS:
+                continue
             n, turn, scale = inliers(self.places[theirs[own]], places[mine[own]])
             if n >= MIN_INLIERS:
                 out.append((int(self.ids[q]), n, turn, scale))
@@ -245,9 +265,13 @@ def draw(vector: list[float] | None) -> np.ndarray:
     h, w = 2 + 7 * part(31), 2 + 7 * part(71)
     grey = np.rint(255 * part(13))
     size = SIDE * CELL
+    # a soft light over all, so that plain areas have a slope as in a photograph
+    at = np.arange(size) / size
+    light = sum(np.cos(2 * np.pi * ((1 + 3 * part(17 + k)[k]) * at[:, None] + (1 + 3 * part(29 + k)[k + 8]) * at[None, :] + part(7)[k])) for k in range(3))
     image = np.full((size, size), 128.0)
     for y0, y1, x0, x1, g in zip(*(np.clip(np.rint(e), 0, size).astype(int).tolist() for e in (y - h, y + h, x - w, x + w)), grey.tolist(), strict=True):
         image[y0:y1, x0:x1] = g
+    image = 0.7 * image + 35 + 16 * light
     return np.clip(_box(np.pad(image, 1, mode="edge"), 1)[1:-1, 1:-1] / 9, 0, 255).astype(np.uint8)
 
 

@@ -34,7 +34,7 @@ TOKENIZER = "word_bpe_49k.json"
 #: Rows that are ranked together and slices of running sums, on average at most.
 SLICE_ROWS = 32_768
 #: Words whose ids a task remembers.
-CACHE_WORDS = 600_000
+CACHE_WORDS = 300_000
 
 
 def tokenizer_path(name: str = TOKENIZER) -> str:
