@@ -43,7 +43,8 @@ def to_row(built: K.Built, spec: FilterSpec, filter_id: str, shard: int, shard_c
 
 def from_row(row, spec: FilterSpec) -> K.Built:
     kind = {T.ByteType: np.int8, T.ShortType: np.int16, T.IntegerType: np.int32, T.LongType: np.int64}[type(cell_type(spec))]
-    return K.Built(row["n_keys"], row["capacity"], row["bits_total"], row["seed"] % (1 << 64), row["attempts"], row["seg1"], row["seg2"], row["num_hashes"], np.asarray(row["cells"], kind), np.asarray(row["aux"], np.int64), row["empty"], row["empty_last"])
+    of = lambda name: int(row[name])
+    return K.Built(of("n_keys"), of("capacity"), of("bits_total"), of("seed") % (1 << 64), of("attempts"), of("seg1"), of("seg2"), of("num_hashes"), np.asarray(row["cells"], kind), np.asarray(row["aux"], np.int64), of("empty"), of("empty_last"))
 
 
 @dataclass(frozen=True)

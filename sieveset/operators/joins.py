@@ -40,7 +40,7 @@ def runs_to_read(fs: FilterSet, zones: DataFrame, asked: DataFrame, key: str) ->
     from .filterset import from_row
 
     spec = fs.spec
-    pairs = with_key(asked.select(key).distinct(), key, spec.hash_mode).join(F.broadcast(zones), (F.col("k64") >= F.col("lo")) & (F.col("k64") <= F.col("hi"))).select("filter_id", key, "k64")
+    pairs = with_key(asked.select(key).distinct(), key, spec.hash_mode).join(F.broadcast(zones), (F.col("k64") >= F.col("lo")) & (F.col("k64") <= F.col("hi"))).select(*dict.fromkeys(("filter_id", key, "k64")))
 
     def run(left: pd.DataFrame, right: pd.DataFrame) -> pd.DataFrame:
         if not len(left) or not len(right):
