@@ -1,7 +1,7 @@
 """Copies of images by local descriptors.
 
 Corners are found at several scales by the Harris measure. Each gets an orientation, the direction of its patch's centre of
-brightness, and 256 binary tests that are turned with it. Descriptors of a block of queries are filed in tables by 10 parts of 24
+brightness, and 256 binary tests that are turned with it. Descriptors of a block of queries are filed in tables by 8 parts of 32
 bits; a descriptor that agrees with a filed one in some part and in all but MAX_BITS bits is a match. Of the matches of two images
 the largest set that one similarity (shift, turn, scale) explains must reach MIN_INLIERS.
 
@@ -29,7 +29,7 @@ CORNERS = 40
 RADIUS = 10
 TESTS = 256
 TURNS = 36
-PARTS = 10
+PARTS = 8
 MAX_BITS = 24
 MIN_INLIERS = 11
 TOLERANCE = 2.5
@@ -141,9 +141,8 @@ def _places(x: np.ndarray) -> int:
 
 
 def _parts(words: np.ndarray) -> np.ndarray:
-    """Each descriptor's parts of three bytes, as numbers."""
-    b = np.ascontiguousarray(words).view(np.uint8).reshape(-1, 32)[:, : 3 * PARTS].reshape(-1, PARTS, 3).astype(np.uint32)
-    return b[..., 0] | b[..., 1] << 8 | b[..., 2] << 16
+    """Each descriptor's parts of 32 bits."""
+    return np.ascontiguousarray(words).view(np.uint32).reshape(-1, PARTS)
 
 
 class QueryTables:

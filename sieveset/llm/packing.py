@@ -33,8 +33,10 @@ STEP = 16
 TOKENIZER = "word_bpe_49k.json"
 #: Rows that are ranked together and slices of running sums, on average at most.
 SLICE_ROWS = 32_768
-#: Words whose ids a task remembers.
-CACHE_WORDS = 300_000
+#: Documents whose words are looked up together.
+SLICE_DOCS = 400
+#: Words whose ids a worker remembers: the first it meets, among which are the frequent ones.
+CACHE_WORDS = 150_000
 
 
 def tokenizer_path(name: str = TOKENIZER) -> str:
@@ -55,9 +57,6 @@ class WordTokenizer:
         from tokenizers import Tokenizer
 
         self.inner = Tokenizer.from_file(path)
-        self._forget()
-
-    def _forget(self) -> None:
         self.known: dict[str, int] = {}
         self.flat, self.start, self.size = np.zeros(1 << 16, np.uint32), np.zeros(1 << 14, np.int64), np.zeros(1 << 14, np.int64)
         self.used = 0
@@ -96,14 +95,18 @@ class WordTokenizer:
         words = pc.split_pattern(texts, " ")
         coded = words.flatten().dictionary_encode()
         distinct = coded.dictionary.to_pylist()
-        if len(self.known) > CACHE_WORDS:
-            self._forget()
+        before = self.used
+        passing = len(self.known) >= CACHE_WORDS
         if new := [w for w in distinct if w not in self.known]:
             self._learn(new)
         code = np.fromiter(map(self.known.__getitem__, distinct), np.int64, len(distinct))[coded.indices.to_numpy()]
         sizes = self.size[code]
         ends = np.cumsum(sizes)
         out = self.flat[np.repeat(self.start[code] - (ends - sizes), sizes) + np.arange(int(sizes.sum()))]
+        if passing:  # words that come late are rare: they aren't kept
+            for w in new:
+                del self.known[w]
+            self.used = before
         cuts = np.r_[0, ends][np.cumsum(pc.list_value_length(words).to_numpy())]
         found = np.split(out, cuts[:-1])
         for i, ids in whole.items():
@@ -125,7 +128,7 @@ def _tokenize(path: str, length: int, end_id: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         words = _tokenizer(path)
         end = np.array([end_id], np.uint32)
-        for batch in batches:
+        for batch in (b.slice(at, SLICE_DOCS) for b in batches for at in range(0, max(1, b.num_rows), SLICE_DOCS)):
             out: list[tuple] = []
             for doc, ids in zip(batch.column("doc_id").to_pylist(), words.ids_of(batch.column("text")), strict=True):
                 ids = np.concatenate([ids, end]).astype("<u4", copy=False)
@@ -172,7 +175,7 @@ def _best_pattern(prices: np.ndarray, room: int) -> tuple[float, np.ndarray]:
     return float(worth[room]), pattern
 
 
-def solve_patterns(demand: np.ndarray, room: int, max_columns: int = 4000, gap: float = 1e-4) -> list[tuple[np.ndarray, float]]:
+def solve_patterns(demand: np.ndarray, room: int, max_columns: int = 1500, gap: float = 1e-4) -> list[tuple[np.ndarray, float]]:
     """Patterns and how often the linear program uses each, by revised simplex with generated columns.
 
     It starts from one pattern per class that repeats it, and stops when no pattern gains, or when the bound that the best
@@ -193,7 +196,7 @@ def solve_patterns(demand: np.ndarray, room: int, max_columns: int = 4000, gap:
         full[used] = prices
         value, pattern = _best_pattern(np.maximum(full, 0), room)
         total = x.sum()
-        if value <= 1 + 1e-9 or total - total / value <= gap * total:
+        if value <= 1 + 1e-9 or total - total / value <= max(0.5, gap * total):  # half a sequence is less than rounding costs
             break
         column = pattern[used].astype(float)
         direction = inverse @ column
