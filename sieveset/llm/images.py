@@ -75,6 +75,8 @@ def _box(a: np.ndarray, r: int) -> np.ndarray:
 def describe(image: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """(n, 4) of y, x, angle, size in the image's own pixels, and (n, 4) descriptors of four 64-bit numbers."""
     places, words = [], []
+    if min(image.shape) < 2 * RADIUS + 4:
+        return np.zeros((0, 4)), np.zeros((0, 4), np.uint64)
     offset = np.arange(-RADIUS, RADIUS + 1)
     disc = (offset[:, None] ** 2 + offset[None, :] ** 2) <= RADIUS**2
     for scale in SCALES:
@@ -242,9 +244,10 @@ def search(images: DataFrame, queries: DataFrame, block: int = QUERY_BLOCK) -> D
 def image_classes(images: DataFrame, key: str) -> tuple[DataFrame, DataFrame]:
     """Distinct images under their least id, and each row's class: (image_id, class_id, class_size)."""
     n = images.count()
-    groups = materialise(images.groupBy(F.xxhash64(key).alias("hash"), F.col(key)).agg(F.min("image_id").alias("class_id"), F.count("*").alias("class_size")), "image-classes")
-    members = attach(images.select("image_id", F.xxhash64(key).alias("hash"), F.col(key)), groups, ["hash", key], n, "class_size")
-    return groups.select(F.col("class_id").alias("image_id"), key), members.select("image_id", "class_id", "class_size")
+    rows = images.select("image_id", F.xxhash64(key).alias("hash"), F.struct(F.col(key).alias("v")).alias("held"))  # in a struct null equals null
+    groups = materialise(rows.groupBy("hash", "held").agg(F.min("image_id").alias("class_id"), F.count("*").alias("class_size")), "image-classes")
+    members = attach(rows, groups, ["hash", "held"], n, "class_size")
+    return groups.select(F.col("class_id").alias("image_id"), F.col("held.v").alias(key)), members.select("image_id", "class_id", "class_size")
 
 
 # --- the given tables hold no pictures: each embedding is drawn as one ------------------------------------------------
