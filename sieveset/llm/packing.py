@@ -34,9 +34,9 @@ TOKENIZER = "word_bpe_49k.json"
 #: Rows that are ranked together and slices of running sums, on average at most.
 SLICE_ROWS = 32_768
 #: Documents whose words are looked up together.
-SLICE_DOCS = 400
+SLICE_DOCS = 2000
 #: Words whose ids a worker remembers: the first it meets, among which are the frequent ones.
-CACHE_WORDS = 150_000
+CACHE_WORDS = 600_000
 
 
 def tokenizer_path(name: str = TOKENIZER) -> str:
