@@ -191,7 +191,12 @@ def near_copies(docs: DataFrame, words: int = WORDS, seed: int = SEED, max_bits:
 
 def drop_near_copies(docs: DataFrame, words: int = WORDS, seed: int = SEED, max_bits: int = MAX_BITS) -> DataFrame:
     """``docs`` with the row of the least doc_id of each component, all columns as they were."""
-    found = materialise(near_copies(docs, words, seed, max_bits), "near-copies")
+    return keep_leads(docs, near_copies(docs, words, seed, max_bits))
+
+
+def keep_leads(docs: DataFrame, found: DataFrame) -> DataFrame:
+    """``docs`` without the rows that ``found`` (doc_id, raw, component_id, lead_raw) says are not their component's first."""
+    found = materialise(found, "near-copies")
     gone = found.where("doc_id != component_id or raw != lead_raw").select(F.col("doc_id").alias("_gone_id"), F.col("raw").alias("_gone_raw")).distinct()
     n = gone.count()
     left = docs.withColumn("_raw", F.xxhash64(F.coalesce(F.col("text"), F.lit("")).cast("binary")))
