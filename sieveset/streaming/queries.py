@@ -102,43 +102,49 @@ def _(spark, d):
     return run_to_end(by, "append").select(F.col("window.start").alias("win"), "n").select(to_ntz("win").alias("win"), "n")
 
 
-#: Keys of a generation, after which it is sealed, and sealed generations that are kept.
-GENERATION, KEPT = 512, 64
+#: Keys of a generation, after which it is sealed.
+GENERATION = 512
 
 
 def seen_before(stream: DataFrame, key: str, shards: int = 4, spec: FilterSpec | None = None) -> DataFrame:
-    """(key, first) for each row: whether the key was not seen before, by generations of filters for each shard.
+    """(key, first) for each row: whether the key was not seen before, exactly, by generations of filters for each shard.
 
-    New keys gather in an open generation, a plain list; when full it is sealed into an immutable xor filter. A key that no
-    generation knows is new for sure; a known one is a repeat, or with the filters' small probability a new one.
+    New keys gather in an open generation, a plain list; when full it is sealed: sorted keys and an immutable xor filter over them. A key
+    that no filter knows is new for sure; one that a filter knows is looked up in that generation's keys. No generation is
+    dropped: two of one size are merged, so their number grows with the logarithm of the keys. A shard's state
+    holds all its keys, so ``shards`` should grow with the keys that are expected.
     """
     spec = spec or FilterSpec("xor", 16)
     kind = T.StructType([T.StructField("k64", T.LongType()), T.StructField("first", T.IntegerType())])
-    state_kind = "open array<bigint>, sealed array<struct<capacity:bigint,seed:bigint,seg1:bigint,seg2:bigint,n:bigint,cells:array<smallint>>>"
+    state_kind = "open array<bigint>, sealed array<struct<capacity:bigint,seed:bigint,seg1:bigint,seg2:bigint,n:bigint,cells:array<smallint>,keys:array<bigint>>>"
 
     def step(_: tuple, frames: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
         import numpy as np
 
         open_, sealed = state.get if state.exists else ([], [])
-        known, sealed = set(open_), [tuple(s) for s in sealed]
-        built = [K.Built(n, c, 0, s % (1 << 64), seg1=a, seg2=b, cells=np.array(v, np.int16)) for c, s, a, b, n, v in sealed]
+        known = set(open_)
+        built = [(K.Built(n, c, 0, s % (1 << 64), seg1=a, seg2=b, cells=np.array(v, np.int16)), np.array(own, np.int64)) for c, s, a, b, n, v, own in map(tuple, sealed)]
         for frame in frames:
             keys = frame["k64"].to_numpy(np.int64)
             old = np.zeros(len(keys), bool)
-            for b in built:
-                old |= K.contains(b, spec, keys)
+            for b, own in built:
+                said = np.flatnonzero(K.contains(b, spec, keys) & ~old)
+                at = np.minimum(np.searchsorted(own, keys[said]), len(own) - 1)
+                old[said[own[at] == keys[said]]] = True
             first = []
             for k, o in zip(keys.tolist(), old.tolist(), strict=True):
                 first.append(int(not o and k not in known))
-                known.add(k)
+                if not o:
+                    known.add(k)
             while len(known) >= GENERATION:
-                part = sorted(known)[:GENERATION]
-                b = K.build(np.array(part, np.int64), spec)
-                built.append(b)
-                sealed.append((b.capacity, b.seed - (1 << 64) if b.seed >> 63 else b.seed, b.seg1, b.seg2, b.n_keys, b.cells.tolist()))
-                known -= set(part)
+                part = np.array(sorted(known)[:GENERATION], np.int64)
+                known -= set(part.tolist())
+                while built and len(built[-1][1]) <= len(part):
+                    part = np.union1d(part, built.pop()[1])
+                built.append((K.build(part, spec), part))
             yield pd.DataFrame({"k64": keys, "first": np.array(first, np.int32)})
-        state.update((sorted(known), sealed[-KEPT:]))
+        sealed = [(b.capacity, b.seed - (1 << 64) if b.seed >> 63 else b.seed, b.seg1, b.seg2, b.n_keys, b.cells.tolist(), own.tolist()) for b, own in built]
+        state.update((sorted(known), sealed))
 
     rows = stream.select(F.col(key).cast("long").alias("k64")).withColumn("shard", F.pmod(F.xxhash64("k64"), F.lit(shards)))
     return rows.groupBy("shard").applyInPandasWithState(step, kind, state_kind, "append", GroupStateTimeout.NoTimeout)
