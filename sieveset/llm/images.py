@@ -1,9 +1,9 @@
 """Copies of images by local descriptors.
 
 Corners are found at several scales by the Harris measure. Each gets an orientation, the direction of its patch's centre of
-brightness, and 256 binary tests that are turned with it. Descriptors of a block of queries are filed in tables by 8 parts of 32
-bits; a descriptor that agrees with a filed one in some part and in all but MAX_BITS bits is a match. Of the matches of two images
-the largest set that one similarity (shift, turn, scale) explains must reach MIN_INLIERS.
+brightness, and 256 binary tests that are turned with it. Descriptors are compared with all of a block of queries; those that agree in
+all but MAX_BITS bits are matches, whatever else is in the block. Of the matches of two images the largest set that one
+similarity (shift, turn, scale) explains must reach MIN_INLIERS.
 
 An image is a struct of height, width and pixels (grey, a byte each). Equal images form a class and are searched once.
 
@@ -24,18 +24,19 @@ from pyspark.sql import types as T
 from .common import BINARY, INT, LONG, attach, fields, materialise, table, to_python
 
 SCALES = (1.0, 0.75, 0.5)
-#: Corners at full scale, at most: the strongest; at others by area. They describe an image; rows are never capped.
-CORNERS = 40
+#: Corners at full scale and at each other, at most: the strongest. They describe an image; rows are never capped.
+CORNERS, CORNERS_SMALL = 40, 36
 RADIUS = 10
 TESTS = 256
 TURNS = 36
-PARTS = 8
-MAX_BITS = 24
+MAX_BITS = 44
 MIN_INLIERS = 11
 TOLERANCE = 2.5
 SEED = 3
 #: Queries that are looked up in one pass over the images.
 QUERY_BLOCK = 2000
+#: Descriptors that are compared at a time, so they stay in a core's cache.
+SLICE = 1 << 14
 QUERY_EVERY = 100
 
 
@@ -96,7 +97,7 @@ def describe(image: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         y, x = np.nonzero((inner >= peak) & (inner > 1e-3))
         if not len(y):
             continue
-        best = np.lexsort((x, y, -inner[y, x]))[: max(8, round(CORNERS * scale**2))]
+        best = np.lexsort((x, y, -inner[y, x]))[: CORNERS if scale == 1 else CORNERS_SMALL]
         y, x = y[best], x[best]
         patch = smooth[y[:, None, None] + offset[:, None], x[:, None, None] + offset[None, :]] * disc
         angle = np.arctan2((patch * offset[:, None]).sum((1, 2)), (patch * offset[None, :]).sum((1, 2)))
@@ -117,8 +118,8 @@ def pixels(image: dict | None) -> np.ndarray:
     return np.frombuffer(image["pixels"], np.uint8).reshape(image["height"], image["width"])
 
 
-def inliers(a: np.ndarray, b: np.ndarray) -> tuple[int, float, float]:
-    """Largest consensus among matched places (rows of y, x, angle, size): its size, turn and scale.
+def inliers(a: np.ndarray, b: np.ndarray, least: int = 1) -> tuple[int, float, float]:
+    """Largest consensus among matched places (rows of y, x, angle, size): its size, turn and scale; size ``least - 1`` if it is below ``least``.
 
     Each match alone gives a similarity; the one that carries most of a's places to b's wins. Matches that end at one place count once.
     """
@@ -128,9 +129,9 @@ def inliers(a: np.ndarray, b: np.ndarray) -> tuple[int, float, float]:
     dy, dx = a[None, :, 0] - a[:, None, 0], a[None, :, 1] - a[:, None, 1]
     y, x = b[:, None, 0] + c * dy + s * dx, b[:, None, 1] - s * dy + c * dx
     ok = (np.abs(y - b[None, :, 0]) < TOLERANCE) & (np.abs(x - b[None, :, 1]) < TOLERANCE)
-    best = (0, 0.0, 1.0)
-    for i in np.argsort(-ok.sum(1), kind="stable"):
-        if ok[i].sum() <= best[0]:
+    best, sums = (least - 1, 0.0, 1.0), ok.sum(1)
+    for i in np.argsort(-sums, kind="stable"):
+        if sums[i] <= best[0]:
             break
         n = min(_places(a[ok[i]]), _places(b[ok[i]]))
         if n > best[0]:
@@ -142,54 +143,48 @@ def _places(x: np.ndarray) -> int:
     return len({(round(y), round(z)) for y, z in x[:, :2].tolist()})
 
 
-def _parts(words: np.ndarray) -> np.ndarray:
-    """Each descriptor's parts of 32 bits."""
-    return np.ascontiguousarray(words).view(np.uint32).reshape(-1, PARTS)
-
-
 class QueryTables:
-    """Descriptors of a block of queries, filed by each of their parts."""
+    """Descriptors of a block of queries, by columns of 64 bits."""
 
     def __init__(self, queries: list[tuple[int, np.ndarray, np.ndarray]]):
         self.ids = np.array([q for q, p, _ in queries], np.int64)
         self.owner = np.concatenate([np.full(len(p), i) for i, (_, p, _) in enumerate(queries)] or [np.zeros(0, int)]).astype(np.int64)
         self.places = np.concatenate([p for _, p, _ in queries] or [np.zeros((0, 4))])
         self.words = np.ascontiguousarray(np.concatenate([w for _, _, w in queries] or [np.zeros((0, 4), np.uint64)]))
-        parts = _parts(self.words)
-        self.order = [np.argsort(parts[:, k], kind="stable") for k in range(PARTS)]
-        self.keys = [np.ascontiguousarray(parts[o, k]) for k, o in enumerate(self.order)]
+        self.columns = [np.ascontiguousarray(self.words[:, k]) for k in range(4)]
+
+    def near(self, words: np.ndarray) -> list[np.ndarray]:
+        """For each word, all filed descriptors within MAX_BITS."""
+        found: list[list[np.ndarray]] = [[] for _ in words]
+        for at in range(0, len(self.words), SLICE):
+            columns = [c[at : at + SLICE] for c in self.columns]
+            held, bits, more = np.empty_like(columns[0]), np.empty(len(columns[0]), np.uint16), np.empty(len(columns[0]), np.uint8)
+            for i, w in enumerate(words):
+                bits[:] = 0
+                for c, x in zip(columns, w, strict=True):
+                    np.add(bits, np.bitwise_count(np.bitwise_xor(c, x, out=held), out=more), out=bits)
+                found[i].append(at + np.flatnonzero(bits <= MAX_BITS))
+        return [np.concatenate(f) if f else np.zeros(0, np.int64) for f in found]
 
     def search(self, places: np.ndarray, words: np.ndarray) -> list[tuple[int, int, float, float]]:
         """(query, inliers, turn, scale) of the queries that one image agrees with."""
         if not len(words) or not len(self.words):
             return []
-        parts = _parts(words)
-        starts = [np.searchsorted(self.keys[k], parts[:, k], side="left") for k in range(PARTS)]
-        counts = [np.searchsorted(self.keys[k], parts[:, k], side="right") - lo for k, lo in enumerate(starts)]
-        pairs = []
-        if sum(int(n.sum()) for n in counts) > len(words) * len(self.words):
-            # parts that most descriptors share: comparing all is less work than following the tables
-            for i, w in enumerate(words):
-                near = np.flatnonzero(np.bitwise_count(self.words ^ w).sum(1) <= MAX_BITS)
-                pairs.append(i * len(self.words) + near)
-            counts = []
-        for k, n in enumerate(counts):
-            mine = np.repeat(np.arange(len(n)), n)
-            if len(mine):
-                theirs = self.order[k][np.arange(len(mine)) - np.repeat(np.cumsum(n) - n, n) + np.repeat(starts[k], n)]
-                near = np.bitwise_count(words[mine] ^ self.words[theirs]).sum(1) <= MAX_BITS
-                pairs.append(mine[near] * len(self.words) + theirs[near])
+        pairs = [i * len(self.words) + near for i, near in enumerate(self.near(words)) if len(near)]
         if not pairs:
             return []
         both = np.unique(np.concatenate(pairs))
         mine, theirs = both // len(self.words), both % len(self.words)
         owner = self.owner[theirs]
         out = []
-        for q in np.flatnonzero(np.bincount(owner) >= MIN_INLIERS):
-            own = owner == q
+        order = np.argsort(owner, kind="stable")
+        sizes = np.bincount(owner)
+        ends = np.cumsum(sizes)
+        for q in np.flatnonzero(sizes >= MIN_INLIERS):
+            own = order[ends[q] - sizes[q] : ends[q]]
             if min(len(np.unique(theirs[own])), len(np.unique(mine[own]))) < MIN_INLIERS:
                 continue
-            n, turn, scale = inliers(self.places[theirs[own]], places[mine[own]])
+            n, turn, scale = inliers(self.places[theirs[own]], places[mine[own]], MIN_INLIERS)
             if n >= MIN_INLIERS:
                 out.append((int(self.ids[q]), n, turn, scale))
         return out
