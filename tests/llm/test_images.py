@@ -25,3 +25,16 @@ def test_copies_are_found_up_to_the_limit():
         tables = images.QueryTables([(5, places, words), (6, *picture(rng))])
         got = tables.search(places, flipped(rng, words, bits))
         assert [(q, n) for q, n, *_ in got] == ([(5, 24)] if found else []), bits
+
+
+def test_the_rest_of_the_block_does_not_matter():
+    """A copy with 20 bits turned, among other queries of random bits or of nearly equal ones."""
+    rng = np.random.default_rng(9)
+    places, words = picture(rng)
+    asked = np.concatenate([flipped(rng, words, 20), np.zeros((8, 4), np.uint64)])
+    at = np.concatenate([places, np.zeros((8, 4)) + [0, 0, 0, 1]])
+    flat = [(k, picture(rng)[0], np.zeros((24, 4), np.uint64)) for k in range(20, 60)]
+    mixed = [(k, *picture(rng)) for k in range(20, 60)]
+    for others in ([], flat, mixed):
+        got = images.QueryTables([(5, places, words), *others]).search(at, asked)
+        assert [x[:2] for x in got if x[0] == 5] == [(5, 24)]
