@@ -1,5 +1,6 @@
 """Streams: what is remembered, and for how long."""
 
+import duckdb
 import pytest
 
 from sieveset.operators.spec import FilterSpec
@@ -17,3 +18,12 @@ def test_no_key_is_forgotten_or_mistaken(spark, tmp_path, monkeypatch, bits):
     got = {(r["first"], r["count"]) for r in out.groupBy("first").count().collect()}
     assert got == {(1, 5000), (0, 5000)}
     assert out.where("first = 1").select("k64").distinct().count() == 5000
+
+
+@pytest.mark.parametrize("name", ["stream_probe", "stream_tumbling", "stream_sliding", "stream_session", "stream_late", "stream_swap_version"])
+def test_all_buyers_are_asked_for(spark, sf_dir, name):
+    events = duckdb.connect()
+    events.execute(f"create view events as select * from '{sf_dir}/events.parquet'")
+    assert "%" not in S.ORACLES[f"{name}_all"]
+    plain = lambda df: sorted(map(str, df[sorted(df.columns)].astype(str).values.tolist()))
+    assert plain(S.QUERIES[f"{name}_all"](spark, sf_dir).toPandas()) == plain(events.sql(S.ORACLES[f"{name}_all"]).df())
