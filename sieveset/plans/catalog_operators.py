@@ -137,6 +137,13 @@ def _(spark, d):
     return spark.sql("select o.o_orderkey as k64, x.i as cell_no, o.o_orderkey * 3 + x.i as value from sieveset_orders o, lateral (select explode(array(0, 1, 2)) as i) x where o.o_orderkey < 50")
 
 
+@query("lateral_probe_all", "select p.k as k64, t.i::int as cell_no, p.k * 3 + t.i as value from (select o_orderkey as k from orders) p, range(3) t(i)")
+def _(spark, d):
+    """As lateral_probe, over all orders."""
+    _views(spark, d)
+    return spark.sql("select o.o_orderkey as k64, x.i as cell_no, o.o_orderkey * 3 + x.i as value from sieveset_orders o, lateral (select explode(array(0, 1, 2)) as i) x")
+
+
 # --- aggregates, windows, sets ----------------------------------------------------------------------------------------
 
 
@@ -319,6 +326,34 @@ def _(spark, d):
     return spark.sql("select o.o_orderkey as k64, x.part, x.cell from (select o_orderkey from sieveset_orders where o_orderkey < 20) o, lateral sieveset_explain_probe(o.o_orderkey) x")
 
 
+#: Neighbouring keys that one call of the table function explains.
+_EXPLAINED = 4096
+
+
+@query("udtf_cells_all", f"with m as ({O.MEMBERS}), cfg as (select 123 * count(*) // 100 + 32 as c from m), x as (select o_orderkey as k64, {O.cells('o_orderkey', XOR8)} from orders, cfg) select k64, unnest([0, 1, 2]) as part, unnest([c0, c1, c2]) as cell from x")
+def _(spark, d):
+    """As udtf_cells, over all orders: a call takes a batch of keys."""
+    from pyspark.sql.functions import udtf
+
+    meta = W.standard_filter(spark, d, XOR8).frame.select("seed", "capacity").first()
+    seed, cells = meta["seed"] % (1 << 64), meta["capacity"]
+
+    class ExplainProbes:
+        def eval(self, keys: list):
+            import numpy as np
+
+            from sieveset.kernels.filters import three_cells
+
+            for k64, own in zip(keys, three_cells(np.array(keys, np.int64), seed, cells).T.tolist(), strict=True):
+                for part, at in enumerate(own):
+                    yield k64, part, at
+
+    spark.udtf.register("sieveset_explain_probes", udtf(ExplainProbes, returnType="k64 long, part int, cell long"))
+    _views(spark, d)
+    batches = f"select collect_list(o_orderkey) as keys from sieveset_orders group by o_orderkey div {_EXPLAINED}"
+    return spark.sql(f"select x.k64, x.part, x.cell from ({batches}) o, lateral sieveset_explain_probes(o.keys) x")
+
+
 @query("sql_probe", f"{REPORTED} select count(*) as lines from lineitem join reported on k = l_orderkey")
 def _(spark, d):
     _views(spark, d)
@@ -391,6 +426,13 @@ def _(spark, d):
     return asked.join(F.broadcast(_zones(spark, d)), (F.col("k64") >= F.col("lo")) & (F.col("k64") <= F.col("hi"))).groupBy(F.col("filter_id").alias("run")).agg(F.count("*").alias("n"))
 
 
+@query("runs_range_prune_all", "with runs as (select strftime(o_orderdate, '%Y-%m') as run, min(o_orderkey) as lo, max(o_orderkey) as hi from orders group by 1) select run, count(*) as n from runs join (select distinct l_orderkey as k from lineitem) on k between lo and hi group by run")
+def _(spark, d):
+    """As runs_range_prune, over all probes."""
+    asked = W.probes(spark, d)
+    return asked.join(F.broadcast(_zones(spark, d)), (F.col("k64") >= F.col("lo")) & (F.col("k64") <= F.col("hi"))).groupBy(F.col("filter_id").alias("run")).agg(F.count("*").alias("n"))
+
+
 @query("runs_interval_join", "with runs as (select strftime(o_orderdate, '%Y') as run, min(o_orderdate) as a, max(o_orderdate) as b from orders group by 1) select run, count(*) as n from runs join orders on o_orderdate >= a and o_orderdate < b group by run")
 def _(spark, d):
     runs = _orders(spark, d).groupBy(F.date_format("o_orderdate", "yyyy").alias("run")).agg(F.min("o_orderdate").alias("a"), F.max("o_orderdate").alias("b"))
