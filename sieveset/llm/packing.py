@@ -9,8 +9,9 @@ left, so that all sequences are full but for the last tokens, which go to sequen
 Only the histogram reaches the driver, with one entry per class. Ranks, sequence numbers and the lines along which documents are
 cut come from running sums over slices.
 
-Defined cases: a null text is empty and has the closing token alone; of repeated rows each is packed; an empty table gives an
-empty result; further columns are ignored.
+Defined cases: a null text is empty and has the closing token alone; a null doc_id is kept as null; a very long text is cut into
+full sequences and one remainder; of repeated rows each is packed; an empty table gives an empty result; further columns are
+ignored; a vocabulary with ids over 65,535 is refused.
 """
 
 from __future__ import annotations
@@ -133,6 +134,8 @@ def _tokenize(path: str, length: int, end_id: int):
             for doc, ids in zip(batch.column("doc_id").to_pylist(), words.ids_of(batch.column("text")), strict=True):
                 ids = np.concatenate([ids, end]).astype("<u4", copy=False)
                 n = len(ids)
+                if ids.max() > 0xFFFF:
+                    raise ValueError(f"id {ids.max()} does not fit the two bytes in which ids of cut pieces are kept")
                 for start in range(0, n, length):
                     piece = ids[start : start + length]
                     kept = None if len(piece) == length else piece.astype("<u2").tobytes()
@@ -175,6 +178,26 @@ def _best_pattern(prices: np.ndarray, room: int) -> tuple[float, np.ndarray]:
     return float(worth[room]), pattern
 
 
+def _times(matrix: np.ndarray, vector: np.ndarray) -> np.ndarray:
+    """Matrix by vector without the linear algebra library: its threads can hang in a process that has forked, as a driver has."""
+    return np.einsum("ij,j->i", matrix, vector)
+
+
+def _inverse(matrix: np.ndarray) -> np.ndarray:
+    """Gauss-Jordan elimination with row exchanges, in plain vector operations for the same reason."""
+    n = len(matrix)
+    work = np.concatenate([matrix, np.eye(n)], axis=1)
+    for i in range(n):
+        at = i + int(np.argmax(np.abs(work[i:, i])))
+        if at != i:
+            work[[i, at]] = work[[at, i]]
+        work[i] /= work[i, i]
+        factor = work[:, i].copy()
+        factor[i] = 0
+        work -= factor[:, None] * work[i]
+    return work[:, n:]
+
+
 def solve_patterns(demand: np.ndarray, room: int, max_columns: int = 1500, gap: float = 1e-4) -> list[tuple[np.ndarray, float]]:
     """Patterns and how often the linear program uses each, by revised simplex with generated columns.
 
@@ -189,7 +212,7 @@ def solve_patterns(demand: np.ndarray, room: int, max_columns: int = 1500, gap:
     m = len(used)
     columns = np.diag(room // widths).astype(float)
     inverse = np.diag(1.0 / (room // widths))
-    x = inverse @ d
+    x = _times(inverse, d)
     for step in range(max_columns):
         prices = inverse.sum(0)
         full = np.full(room, -1.0)
@@ -199,7 +222,7 @@ def solve_patterns(demand: np.ndarray, room: int, max_columns: int = 1500, gap:
         if value <= 1 + 1e-9 or total - total / value <= max(0.5, gap * total):  # half a sequence is less than rounding costs
             break
         column = pattern[used].astype(float)
-        direction = inverse @ column
+        direction = _times(inverse, column)
         ok = direction > 1e-9
         if not ok.any():
             break
@@ -213,8 +236,8 @@ def solve_patterns(demand: np.ndarray, room: int, max_columns: int = 1500, gap:
         inverse[leave] = pivot
         columns[:, leave] = column
         if step % 200 == 199:
-            inverse = np.linalg.inv(columns)
-            x = np.maximum(inverse @ d, 0)
+            inverse = _inverse(columns)
+            x = np.maximum(_times(inverse, d), 0)
     out = []
     for j in range(m):
         if x[j] > 1e-9:
@@ -365,18 +388,18 @@ def pack(docs: DataFrame, path: str | None = None, length: int = LENGTH, end_id:
     filled = to_python(filled.drop("uid"), _cut_ids, fields(**{c: LONG for c in COLUMNS}))
 
     n_seq = n_full + len(tails)
-    numbered = _numbered(whole, n_seq)
+    numbered = _numbered(whole, n_seq, whole.count())
     cols = lambda df, seq: df.select("doc_id", "start", "length", "ids_crc32", "doc_tokens", seq.cast("long").alias("sequence_id"), F.col("offset").cast("long").alias("offset"))
     return cols(kept, F.col("seq")).unionByName(cols(numbered.withColumn("offset", F.lit(0)), F.col("seq"))).unionByName(filled.select(*COLUMNS))
 
 
-def _numbered(whole: DataFrame, first: int) -> DataFrame:
+def _numbered(whole: DataFrame, first: int, n: int) -> DataFrame:
     """Sequences of one full piece: any distinct numbers from ``first`` on would do, and these are dense."""
-    slices = 256
+    slices = max(64, n // SLICE_ROWS)
     cut = whole.withColumn("_slice", F.pmod(F.xxhash64("uid"), F.lit(slices)))
     sums = cut.groupBy("_slice").agg(F.count("*").alias("_sum"))
     before = Window.orderBy("_slice").rowsBetween(Window.unboundedPreceding, -1)
-    starts = F.broadcast(sums.select("_slice", F.coalesce(F.sum("_sum").over(before), F.lit(0)).alias("_start")))  # 256 rows
+    starts = sums.select("_slice", F.coalesce(F.sum("_sum").over(before), F.lit(0)).alias("_start"))  # one row for SLICE_ROWS pieces
     return cut.withColumn("_in", F.row_number().over(Window.partitionBy("_slice").orderBy("uid"))).join(starts, "_slice").withColumn("seq", F.lit(first) + F.col("_start") + F.col("_in") - 1).drop("_slice", "_start", "_in")
 
 

@@ -166,7 +166,7 @@ def fit_rules(values: np.ndarray, labels: np.ndarray) -> RuleModel:
             if LEAF_ROWS <= fits.sum() < len(y):
                 rules.setdefault(np.packbits(fits).tobytes(), tests)  # of rules that fit the same rows the first and shortest stays
     unpack = lambda b: np.unpackbits(np.frombuffer(b, np.uint8), count=len(y)).astype(float)
-    strength = lambda b: abs(float(unpack(b) @ (y - share)))
+    strength = lambda b: abs(float((unpack(b) * (y - share)).sum()))
     chosen = sorted(rules, key=lambda b: (-strength(b), rules[b]))[:MAX_RULES]
     weights, intercept = _lasso(np.stack([unpack(b) for b in chosen], 1), y) if chosen else (np.zeros(0), float(np.log(share / (1 - share))))
     return RuleModel(intercept, tuple((rules[b], float(w)) for b, w in zip(chosen, weights, strict=True) if abs(w) > 1e-6))
@@ -176,22 +176,24 @@ def _lasso(x: np.ndarray, y: np.ndarray) -> tuple[np.ndarray, float]:
     """Logistic weights under an L1 penalty, by accelerated proximal steps; columns are centred, the intercept is free."""
     mean = x.mean(0)
     z = x - mean
+    # not the linear algebra library: its threads can hang in a process that has forked, as a driver has
+    times, back = lambda w: np.einsum("ij,j->i", z, w), lambda g: np.einsum("ij,i->j", z, g)
     v = np.ones(z.shape[1])
     for _ in range(20):  # largest eigenvalue, for the step
-        v = z.T @ (z @ v)
-        v /= np.linalg.norm(v) or 1.0
-    step = 4 * len(y) / max(1e-9, float(v @ (z.T @ (z @ v))) + len(y))
+        v = back(times(v))
+        v /= float((v * v).sum()) ** 0.5 or 1.0
+    step = 4 * len(y) / max(1e-9, float((v * back(times(v))).sum()) + len(y))
     w, b = np.zeros(z.shape[1]), float(np.log(y.mean() / (1 - y.mean())))
     w_, b_, t = w, b, 1.0
     for _ in range(ROUNDS):
-        p = 1 / (1 + np.exp(-np.clip(z @ w_ + b_, -30, 30)))
+        p = 1 / (1 + np.exp(-np.clip(times(w_) + b_, -30, 30)))
         g = (p - y) / len(y)
-        nw, nb = w_ - step * (z.T @ g), b_ - step * g.sum()
+        nw, nb = w_ - step * back(g), b_ - step * g.sum()
         nw = np.sign(nw) * np.maximum(np.abs(nw) - step * PENALTY, 0)
         nt = (1 + (1 + 4 * t * t) ** 0.5) / 2
         w_, b_ = nw + (t - 1) / nt * (nw - w), nb + (t - 1) / nt * (nb - b)
         w, b, t = nw, nb, nt
-    return w, b - float(mean @ w)
+    return w, b - float((mean * w).sum())
 
 
 def remainder(doc_id: Column) -> Column:

@@ -145,3 +145,33 @@ def test_mixing_with_nulls_and_repeats(docs, rows):
         assert r["tokens"] > 0
         spent[r["domain"], r["lang"], r["source"], r["leaf_budget"]] += r["tokens"]
     assert all(v <= k[3] for k, v in spent.items())
+
+
+def test_programs_are_solved_after_a_spark_action(spark):
+    """Large programs, in a process that has started Spark: they end soon, with no threaded linear algebra."""
+    import time
+
+    spark.range(10).count()
+    begun = time.monotonic()
+    demand = np.array([997 * i % 89 + 3 for i in range(1, 257)], np.int64)
+    plan = packing.rounded_patterns(demand, 256)
+    held = np.zeros(256, np.int64)
+    for pattern, times in plan:
+        for c, n in pattern.items():
+            held[c - 1] += n * times
+    assert (held == demand).all() and time.monotonic() - begun < 60
+    matrix = np.random.default_rng(3).integers(0, 5, (40, 40)) + np.eye(40) * 9
+    assert np.allclose((packing._inverse(matrix)[:, :, None] * matrix[None]).sum(1), np.eye(40))
+
+
+def test_ids_that_do_not_fit_are_refused(monkeypatch):
+    import pyarrow as pa
+
+    class Wide:
+        def ids_of(self, texts):
+            return [np.array([70_000], np.uint32)]
+
+    monkeypatch.setattr(packing, "_tokenizer", lambda path: Wide())
+    batch = pa.RecordBatch.from_arrays([pa.array([1]), pa.array(["x"])], ["doc_id", "text"])
+    with pytest.raises(ValueError, match="two bytes"):
+        list(packing._tokenize("", 4096, 2)([batch]))
