@@ -111,7 +111,37 @@ def attach(rows: DataFrame, stats: DataFrame, keys: list[str], n_rows: int, size
     return of_hot.unionByName(of_cold)
 
 
+def lead(doc_id: str, raw: str) -> Column:
+    """The row of the least doc_id; null ids come after all others, equal ids by ``raw``."""
+    return F.min(F.struct(F.col(doc_id).isNull().alias("none"), F.col(doc_id).alias("doc_id"), F.col(raw).alias("raw")))
+
+
+#: Rows of a key from which on it is dealt in blocks, about; every SAMPLED-th member is counted to tell.
+CELL_ROWS, SAMPLED = 4096, 64
+
+
+def dealt_cells(rows: DataFrame, members: DataFrame, spread: Callable[[DataFrame], DataFrame], key: str, member: str) -> DataFrame:
+    """``rows`` with i and j, partitioned by key, i and j, so that every two rows of a key meet in some cell of bounded size.
+
+    A key of about CELL_ROWS rows or more is cut into blocks by a hash of ``member``, and each row goes to all pairs of its block and
+    another one. Which keys those are is told from a sample of ``members``, which ``spread`` turns into rows; a wrong guess costs time and
+    changes no result.
+    """
+    few = members.where(F.pmod(F.xxhash64(F.lit(5), member), F.lit(SAMPLED)) == 0)
+    hot = spread(few).groupBy(key).agg(F.count("*").alias("_seen")).where(F.col("_seen") * SAMPLED >= CELL_ROWS)
+    hot = materialise(hot.withColumn("_blocks", F.ceil(F.col("_seen") * SAMPLED / CELL_ROWS).cast("int") + 1).drop("_seen"), "hot-keys")
+    if hot.isEmpty():
+        out = rows.withColumns({"i": F.lit(0), "j": F.lit(0)})
+    else:
+        out = rows.join(hot, key, "left").withColumn("_blocks", F.coalesce("_blocks", F.lit(1)))
+        out = out.withColumn("_own", F.pmod(F.xxhash64(F.lit(6), member), F.col("_blocks")).cast("int"))
+        out = out.withColumn("_other", F.explode(F.sequence(F.lit(0), F.col("_blocks") - 1)))
+        out = out.withColumns({"i": F.least("_own", "_other"), "j": F.greatest("_own", "_other")}).drop("_blocks", "_own", "_other")
+    return out.repartition(key, "i", "j")
+
+
 LONG, STRING, BINARY, INT = T.LongType(), T.StringType(), T.BinaryType(), T.IntegerType()
+LONGS = T.ArrayType(LONG)
 
 
 def fields(**kinds: T.DataType) -> T.StructType:

@@ -7,7 +7,7 @@ are told apart by their digest.
 
 Texts are equal when identical after lower-casing A-Z only. Of equal texts the row with the largest doc_id stays.
 
-Defined cases: a null text equals an empty one; of repeated rows with one doc_id and text exactly one stays; equal doc_ids with
+Defined cases: a null text equals an empty one; a null doc_id ranks before all others; of repeated rows with one doc_id and text exactly one stays; equal doc_ids with
 different texts are different documents; an empty table gives an empty result; further columns are ignored by ``find_copies`` and
 pass through ``drop_copies``.
 """
@@ -30,7 +30,7 @@ CHUNK = 65_536
 PRIMES = (2_147_483_647, 2_147_483_629)
 BASES = (1_000_003, 998_244_353)
 #: Ids of copies are broadcast up to so many; beyond, texts meet them by a shuffle.
-BROADCAST_IDS = 1_000_000
+BROADCAST_IDS = 250_000
 #: Copies that are compared in one portion, on average at most.
 SHARE = 64
 
@@ -157,10 +157,11 @@ def differing_copies(docs: DataFrame, copies: DataFrame, n_copies: int) -> DataF
     others = others.select("doc_id", "raw", "keep_id", "keep_raw", F.concat_ws(":", *KEY, portion).alias("group"))
     asked = others.select("doc_id", "raw", "group", F.lit(1).alias("rank")).distinct()
     led = others.select(F.col("keep_id").alias("doc_id"), F.col("keep_raw").alias("raw"), "group", F.lit(0).alias("rank")).distinct()
-    tasks = asked.unionByName(led)
+    tasks = asked.unionByName(led).withColumnsRenamed({"doc_id": "_id", "raw": "_raw"})
     if n_copies <= BROADCAST_IDS:
         tasks = F.broadcast(tasks)
-    cut = _texts(docs).join(tasks, ["doc_id", "raw"]).select("doc_id", "raw", "rank", "group", _chunks(F.col("text")).alias("at", "chunk"))
+    texts = _texts(docs)
+    cut = texts.join(tasks, texts["doc_id"].eqNullSafe(tasks["_id"]) & (texts["raw"] == tasks["_raw"])).select("doc_id", "raw", "rank", "group", _chunks(F.col("text")).alias("at", "chunk"))
     placed = cut.select(F.concat_ws(":", "group", "at").alias("place"), "rank", "doc_id", "raw", "chunk")
     dealt = placed.repartition("place").sortWithinPartitions("place", "rank")
     return to_python(dealt, _compare, fields(doc_id=LONG, raw=LONG)).distinct()
@@ -196,13 +197,13 @@ def find_copies(docs: DataFrame) -> DataFrame:
 def drop_copies(docs: DataFrame) -> DataFrame:
     """``docs`` without the copies, all columns as they were. Texts stay where they are unless the ids of copies are too many to broadcast."""
     _, copies, n_copies = grouped_copies(docs)
-    twin = (F.col("doc_id") == F.col("keep_id")) & (F.col("raw") == F.col("keep_raw"))
+    twin = F.col("doc_id").eqNullSafe(F.col("keep_id")) & (F.col("raw") == F.col("keep_raw"))
     others = copies.where("uid != keep_uid")
     gone = others.where(~twin).select(F.col("doc_id").alias("_gone_id"), F.col("raw").alias("_gone_raw")).distinct()
     raw = F.xxhash64(F.coalesce(F.col("text"), F.lit("")).cast("binary"))
     gone = F.broadcast(gone) if n_copies <= BROADCAST_IDS else gone
     kept = docs.withColumn("_raw", raw)
-    kept = kept.join(gone, (kept["doc_id"].cast("long") == gone["_gone_id"]) & (kept["_raw"] == gone["_gone_raw"]), "left_anti")
+    kept = kept.join(gone, kept["doc_id"].cast("long").eqNullSafe(gone["_gone_id"]) & (kept["_raw"] == gone["_gone_raw"]), "left_anti")
     if not others.where(twin).isEmpty():  # repeated rows
         kept = kept.dropDuplicates(["doc_id", "_raw"])
     return kept.drop("_raw")

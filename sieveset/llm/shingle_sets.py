@@ -1,12 +1,6 @@
-"""Near copies by the Jaccard similarity of their sets of shingles, exact at the limit.
+"""Sets of word shingles and their Jaccard similarity, exact on whole sets.
 
-All shingles have one order: those that are common in a sample of the texts last, others by hash. Two sets of a similarity of LIMIT or
-more share a shingle among the first n - ceil(LIMIT n) + 1 of either, whatever the order is, so these are a text's anchors; the sample only
-keeps common shingles from being anchors. Texts at one anchor are compared by their whole sets: first each with two pivots of the
-anchor, then, where an anchor still has several components, all pairs of different components. Nothing is compared that is linked already.
-
-Defined cases: texts with one set (all blank ones, for instance) are one node and linked; a text of at most as many words as a shingle
-has one shingle; repeated rows are one node; an empty table gives an empty result.
+Texts with one set (all blank ones, for instance) have one set id; a text of at most as many words as a shingle has one shingle.
 """
 
 from __future__ import annotations
@@ -15,18 +9,15 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import BINARY, INT, LONG, attach, fields, materialise, to_python
-from .components import components
+from .common import BINARY, LONG, attach, fields, materialise, to_python
 
 SEED = 42
 WORDS = 5
 #: Least similarity, as a fraction of whole numbers.
 LIMIT = (4, 5)
-#: Texts whose shingles are counted for the order, about, and common shingles that are told apart at most.
-SAMPLE, COMMON = 20_000, 100_000
 #: Shingles that are hashed at a time.
 SLAB = 1 << 16
 
@@ -48,132 +39,35 @@ def shingles(text: bytes | None, words: int = WORDS, seed: int = SEED) -> np.nda
     return found[0] if len(found) == 1 else np.unique(np.concatenate(found))
 
 
-def anchors_of(found: np.ndarray, common: np.ndarray, counts: np.ndarray) -> np.ndarray:
-    """The first shingles of the order, so many that similar sets must share one."""
-    n = len(found)
-    if not n:
-        return found
-    rank = np.zeros(n, np.int64)
-    if len(common):
-        at = np.minimum(np.searchsorted(common, found), len(common) - 1)
-        rank = np.where(common[at] == found, counts[at], 0)
-    return found[np.lexsort((found, rank))[: n - -(-n * LIMIT[0] // LIMIT[1]) + 1]]
-
-
-def similar(a: np.ndarray, b: np.ndarray) -> bool:
+def similar(a: np.ndarray, b: np.ndarray, limit: tuple[int, int] = LIMIT) -> bool:
     both = len(np.intersect1d(a, b, assume_unique=True))
-    return both * LIMIT[1] >= (len(a) + len(b) - both) * LIMIT[0]
-
+    return both * limit[1] >= (len(a) + len(b) - both) * limit[0]
 
-def _sets(words: int, seed: int):
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        from xxhash import xxh64_intdigest
-
-        for batch in batches:
-            found = [shingles(t.as_py(), words, seed) for t in batch.column("text")]
-            ids = np.array([xxh64_intdigest(f.tobytes(), seed) for f in found], np.uint64).view(np.int64)
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("raw"), pa.array(ids), pa.array([len(f) for f in found], pa.int32())], ["doc_id", "raw", "sid", "n"])
-
-    return run
-
-
-def _all_shingles(words: int, seed: int):
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for t in batch.column("text"):
-                yield pa.RecordBatch.from_arrays([pa.array(shingles(t.as_py(), words, seed).view(np.int64))], ["shingle"])
 
-    return run
-
-
-def _anchors(words: int, seed: int, sent):
+def _held(words: int, seed: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        from xxhash import xxh64_intdigest
-
-        common, counts = sent.value
         for batch in batches:
-            for t in batch.column("text"):
-                found = shingles(t.as_py(), words, seed)
-                own = anchors_of(found, common, counts).view(np.int64)
-                sid = np.uint64(xxh64_intdigest(found.tobytes(), seed)).astype(np.int64)
-                yield pa.RecordBatch.from_arrays([pa.array(own), pa.array(np.full(len(own), sid)), pa.array(np.full(len(own), len(found), np.int32))], ["anchor", "sid", "n"])
+            found = [shingles(t.as_py(), words, seed).tobytes() for t in batch.column("text")]
+            yield pa.RecordBatch.from_arrays([batch.column("sid"), pa.array(found, pa.binary())], ["sid", "held"])
 
     return run
 
 
-def _held(words: int, seed: int):
+def _verified(limit: tuple[int, int]):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            found = [shingles(t.as_py(), words, seed).tobytes() for t in batch.column("text")]
-            yield pa.RecordBatch.from_arrays([batch.column("sid"), pa.array(found, pa.binary())], ["sid", "held"])
+            ok = [similar(np.frombuffer(a.as_buffer(), np.uint64), np.frombuffer(b.as_buffer(), np.uint64), limit) for a, b in zip(batch.column("a"), batch.column("b"), strict=True)]
+            yield batch.select(["u", "v"]).filter(pa.array(ok, pa.bool_()))
 
     return run
 
 
-def _verified(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for batch in batches:
-        ok = [similar(np.frombuffer(a.as_buffer(), np.uint64), np.frombuffer(b.as_buffer(), np.uint64)) for a, b in zip(batch.column("a"), batch.column("b"), strict=True)]
-        yield batch.select(["u", "v"]).filter(pa.array(ok, pa.bool_()))
-
-
-def _verify(pairs: DataFrame, texts: DataFrame, words: int, seed: int) -> DataFrame:
-    """Those of the distinct (u, v) whose whole sets are similar. ``texts`` has one text of each sid."""
-    pairs = materialise(pairs, "near-pairs")
+def verify(pairs: DataFrame, texts: DataFrame, words: int, seed: int, limit: tuple[int, int]) -> DataFrame:
+    """Those of the distinct, written (u, v) whose whole sets are similar. ``texts`` has sid and one text of each sid that occurs."""
     n = pairs.count()
-    asked = pairs.select(F.col("u").alias("sid")).unionByName(pairs.select(F.col("v").alias("sid"))).distinct()
-    held = materialise(to_python(texts.join(asked, "sid", "left_semi"), _held(words, seed), fields(sid=LONG, held=BINARY)), "near-sets")
-    out = pairs
+    held = materialise(to_python(texts, _held(words, seed), fields(sid=LONG, held=BINARY)), "near-sets")
+    out = pairs.select("u", "v")
     for end, name in (("u", "a"), ("v", "b")):
         sized = materialise(out.groupBy(end).count().join(held.withColumnRenamed("sid", end).withColumnRenamed("held", name), end), "near-held")
         out = attach(out, sized, [end], n, "count").drop("count")
-    return materialise(to_python(out.select("u", "v", "a", "b"), _verified, fields(u=LONG, v=LONG)), "near-links")
-
-
-def _fits(n: str, m: str):
-    return F.least(n, m) * LIMIT[1] >= F.greatest(n, m) * LIMIT[0]
-
-
-def near_copies(docs: DataFrame, words: int = WORDS, seed: int = SEED) -> DataFrame:
-    """doc_id, raw (a hash of the text), component_id and lead_raw (id and raw of the component's first row)."""
-    spark = docs.sparkSession
-    data = F.coalesce(F.col("text"), F.lit("")).cast("binary")
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64(data).alias("raw"), data.alias("text"))
-    prints = materialise(to_python(rows, _sets(words, seed), fields(doc_id=LONG, raw=LONG, sid=LONG, n=INT)), "near-rows")
-    n_rows = prints.count()
-    nodes = materialise(prints.groupBy("sid").agg(F.min(F.struct("doc_id", "raw")).alias("least"), F.count("*").alias("class_size")), "near-nodes")
-    first = nodes.select("sid", F.col("least.doc_id").alias("doc_id"), F.col("least.raw").alias("raw"))
-    texts = rows.join(first, ["doc_id", "raw"]).dropDuplicates(["sid"]).select("sid", "text")
-
-    part = rows.where(F.pmod(F.xxhash64("raw"), F.lit(max(1, n_rows // SAMPLE))) == 0)
-    often = to_python(part.select("text"), _all_shingles(words, seed), fields(shingle=LONG)).groupBy("shingle").count().where("count > 1")
-    often = often.orderBy(F.desc("count"), "shingle").limit(COMMON).collect()
-    common, counts = np.array([r[0] for r in often], np.int64).view(np.uint64), np.array([r[1] for r in often], np.int64)
-    order = np.argsort(common)
-    sent = spark.sparkContext.broadcast((common[order], counts[order]))
-
-    spread = to_python(rows.select("text"), _anchors(words, seed, sent), fields(anchor=LONG, sid=LONG, n=INT))
-    at = Window.partitionBy("anchor")
-    by_size, by_id = F.struct("n", "sid"), F.struct(F.xxhash64("sid").alias("h"), "n", "sid")
-    shared = spread.distinct().select("*", F.min(by_size).over(at).alias("p"), F.max(by_id).over(at).alias("q"), F.count("*").over(at).alias("m"))
-    shared = materialise(shared.where("m > 1").select("anchor", "sid", "n", F.col("p.sid").alias("p"), F.col("p.n").alias("pn"), F.col("q.sid").alias("q"), F.col("q.n").alias("qn")), "near-anchors")
-
-    pair = [F.least("sid", "o").alias("u"), F.greatest("sid", "o").alias("v")]
-    pivots = shared.select("sid", "n", F.col("p").alias("o"), F.col("pn").alias("on")).unionByName(shared.select("sid", "n", F.col("q").alias("o"), F.col("qn").alias("on")))
-    links = _verify(pivots.where("sid != o").where(_fits("n", "on")).select(*pair).distinct(), texts, words, seed)
-
-    # anchors whose texts are not all linked yet; one row for each of their components
-    roots = components(links).withColumnRenamed("node", "sid")
-    labelled = shared.select("anchor", "sid", "n").join(roots, "sid", "left").withColumn("root", F.coalesce("root", "sid"))
-    sides = labelled.groupBy("anchor", "root").agg(F.collect_list(F.struct("sid", "n")).alias("s")).withColumn("sides", F.count("*").over(at)).where("sides > 1")
-    sides = materialise(sides.select("anchor", "root", "s"), "near-sides")
-    cross = sides.join(sides.select("anchor", F.col("root").alias("other"), F.col("s").alias("t")), "anchor").where("root < other")
-    cross = cross.select(F.explode("s").alias("x"), "t").select("x", F.explode("t").alias("y"))
-    cross = cross.select(F.col("x.sid").alias("sid"), F.col("x.n").alias("n"), F.col("y.sid").alias("o"), F.col("y.n").alias("on"))
-    more = _verify(cross.where(_fits("n", "on")).select(*pair).distinct(), texts, words, seed)
-
-    roots = components(links.unionByName(more)).withColumnRenamed("node", "sid")
-    rooted = materialise(nodes.join(roots, "sid", "left").withColumn("root", F.coalesce("root", "sid")), "near-rooted")
-    whole = rooted.groupBy("root").agg(F.min("least").alias("lead"), F.count("*").alias("nodes"))
-    whole = materialise(whole.select("root", F.col("lead.doc_id").alias("component_id"), F.col("lead.raw").alias("lead_raw"), "nodes"), "near-components")
-    named = materialise(attach(rooted.drop("least"), whole, ["root"], max(1, nodes.count()), "nodes").drop("nodes", "root"), "near-named")
-    return attach(prints, named, ["sid"], n_rows, "class_size").select("doc_id", "raw", "component_id", "lead_raw")
+    return materialise(to_python(out.select("u", "v", "a", "b"), _verified(limit), fields(u=LONG, v=LONG)), "near-links")

@@ -4,14 +4,15 @@ Each half of the 64-bit fingerprint is covered by a code: its last 31 bits by th
 by itself. Every word of 32 bits lies within one bit of exactly one anchor (the covering radius), its home. Fingerprints that
 differ in at most 3 bits differ in at most 1 bit in some half, so the other one lies within radius plus threshold, two
 bits, of that home. Each distinct fingerprint is replicated to all anchors within two bits, 17 or so a half, and at each anchor those
-at home are compared with all others.
+at home are compared with all others. Anchors with many fingerprints are cut into pairs of blocks, so no anchor has to fit a task.
 
 Equal fingerprints are one node, whatever their number. At an anchor only a spanning forest of the links is emitted,
 which leaves components as they are.
 
 Defined cases: a null or empty text, or one of blanks only, has fingerprint zero and is linked like any other; fewer than
-three words make one shingle; repeated rows are one node; an empty table gives an empty result; further columns are ignored by
-``near_copies`` and pass through ``drop_near_copies``.
+three words make one shingle; a null doc_id ranks after all others, and of several texts with a null id each keeps its own row;
+very long texts are counted slab by slab; repeated rows are one node; an empty table gives an empty result; further columns are
+ignored by ``near_copies`` and pass through ``drop_near_copies``.
 """
 
 from __future__ import annotations
@@ -24,7 +25,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import LONG, attach, fields, materialise, table, to_python
+from .common import LONG, attach, dealt_cells, fields, lead, materialise, table, to_python
 from .components import components
 
 SEED = 42
@@ -34,7 +35,8 @@ MAX_BITS = 3
 BLOCK = 2048
 #: Shingles that are counted at a time, so a huge text needs bounded memory.
 SLAB = 1 << 16
-BROADCAST_IDS = 1_000_000
+#: Ids of rows that go, two numbers each, are broadcast up to so many (some 20 MB as a hash table); beyond, rows meet them by a shuffle.
+BROADCAST_IDS = 250_000
 
 
 def fingerprint(text: bytes | None, words: int = WORDS, seed: int = SEED) -> int:
@@ -133,13 +135,13 @@ def forest(homes: np.ndarray, others: np.ndarray, max_bits: int = MAX_BITS) -> l
 
 def _compare(max_bits: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        """Partitions are sorted by anchor; an anchor's fingerprints may span batches."""
+        """Partitions are sorted by anchor and cell; a cell's fingerprints may span batches."""
         keep: list[np.ndarray] = []
 
-        def links_of(a: np.ndarray, h: np.ndarray, f: np.ndarray) -> list[tuple[int, int]]:
+        def links_of(new: np.ndarray, h: np.ndarray, f: np.ndarray) -> list[tuple[int, int]]:
             out = []
-            starts = np.flatnonzero(np.r_[True, a[1:] != a[:-1]])
-            ends = np.r_[starts[1:], len(a)]
+            starts = np.flatnonzero(new)
+            ends = np.r_[starts[1:], len(new)]
             for s, e in zip(starts[ends - starts > 1], ends[ends - starts > 1], strict=True):
                 if h[s:e].any():
                     out += forest(f[s:e][h[s:e]], f[s:e][~h[s:e]], max_bits)
@@ -149,25 +151,28 @@ def _compare(max_bits: int):
             return pa.RecordBatch.from_arrays([_signed([x[i] for x in links]) for i in (0, 1)], ["u", "v"])
 
         for batch in batches:
-            a, h, f = (batch.column(c).to_numpy(zero_copy_only=False) for c in ("anchor", "home", "fp"))
+            cols = [batch.column(c).to_numpy(zero_copy_only=False) for c in ("anchor", "i", "j", "home", "fp")]
             if keep:
-                a, h, f = (np.concatenate([k, x]) for k, x in zip(keep, (a, h, f), strict=True))
-            if not len(a):
+                cols = [np.concatenate([k, x]) for k, x in zip(keep, cols, strict=True)]
+            if not len(cols[0]):
                 continue
-            last = int(np.searchsorted(a, a[-1]))
-            keep = [a[last:], h[last:], f[last:]]
-            yield emit(links_of(a[:last], h[:last], f[:last].view(np.uint64)))
+            new = np.r_[True, np.any([x[1:] != x[:-1] for x in cols[:3]], axis=0)]
+            last = int(np.flatnonzero(new)[-1])
+            keep = [x[last:] for x in cols]
+            yield emit(links_of(new[:last], cols[3][:last], cols[4][:last].view(np.uint64)))
         if keep:
-            yield emit(links_of(keep[0], keep[1], keep[2].view(np.uint64)))
+            new = np.r_[True, np.zeros(len(keep[0]) - 1, bool)]
+            yield emit(links_of(new, keep[3], keep[4].view(np.uint64)))
 
     return run
 
 
 def links(distinct: DataFrame, max_bits: int = MAX_BITS) -> DataFrame:
     """(u, v): links between distinct fingerprints that keep their components."""
-    spread = to_python(distinct, _replicate, T.StructType([T.StructField("anchor", LONG), T.StructField("home", T.BooleanType()), T.StructField("fp", LONG)]))
-    dealt = spread.repartition("anchor").sortWithinPartitions("anchor")
-    return to_python(dealt, _compare(max_bits), fields(u=LONG, v=LONG)).distinct()
+    kinds = T.StructType([T.StructField("anchor", LONG), T.StructField("home", T.BooleanType()), T.StructField("fp", LONG)])
+    spread = lambda df: to_python(df, _replicate, kinds)
+    dealt = dealt_cells(spread(distinct), distinct, spread, "anchor", "fp").select("anchor", "i", "j", "home", "fp")
+    return to_python(dealt.sortWithinPartitions("anchor", "i", "j"), _compare(max_bits), fields(u=LONG, v=LONG)).distinct()
 
 
 def near_copies(docs: DataFrame, words: int = WORDS, seed: int = SEED, max_bits: int = MAX_BITS) -> DataFrame:
@@ -177,7 +182,7 @@ def near_copies(docs: DataFrame, words: int = WORDS, seed: int = SEED, max_bits:
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64(data).alias("raw"), data.alias("text"))
     prints = materialise(to_python(rows, _fingerprints(words, seed), fields(doc_id=LONG, raw=LONG, fp=LONG)), "simhash")
     n = prints.count()
-    nodes = materialise(prints.groupBy("fp").agg(F.min(F.struct("doc_id", "raw")).alias("least"), F.count("*").alias("class_size")), "simhash-nodes")
+    nodes = materialise(prints.groupBy("fp").agg(lead("doc_id", "raw").alias("least"), F.count("*").alias("class_size")), "simhash-nodes")
     roots = components(links(nodes.select("fp"), max_bits))
     # few fingerprints have a link
     rooted = nodes.join(roots.withColumnRenamed("node", "fp"), "fp", "left").withColumn("root", F.coalesce("root", "fp"))
@@ -194,13 +199,20 @@ def drop_near_copies(docs: DataFrame, words: int = WORDS, seed: int = SEED, max_
     return keep_leads(docs, near_copies(docs, words, seed, max_bits))
 
 
+def drop_similar(docs: DataFrame, **given) -> DataFrame:
+    """``docs`` with the first row of each component of texts whose sets of shingles are similar (``similar.similar_copies``)."""
+    from .similar import similar_copies
+
+    return keep_leads(docs, similar_copies(docs, **given))
+
+
 def keep_leads(docs: DataFrame, found: DataFrame) -> DataFrame:
     """``docs`` without the rows that ``found`` (doc_id, raw, component_id, lead_raw) says are not their component's first."""
     found = materialise(found, "near-copies")
-    gone = found.where("doc_id != component_id or raw != lead_raw").select(F.col("doc_id").alias("_gone_id"), F.col("raw").alias("_gone_raw")).distinct()
+    gone = found.where("not (doc_id <=> component_id and raw = lead_raw)").select(F.col("doc_id").alias("_gone_id"), F.col("raw").alias("_gone_raw")).distinct()
     n = gone.count()
     left = docs.withColumn("_raw", F.xxhash64(F.coalesce(F.col("text"), F.lit("")).cast("binary")))
-    same = (left["doc_id"].cast("long") == F.col("_gone_id")) & (F.col("_raw") == F.col("_gone_raw"))
+    same = left["doc_id"].cast("long").eqNullSafe(F.col("_gone_id")) & (F.col("_raw") == F.col("_gone_raw"))
     left = left.join(F.broadcast(gone) if n <= BROADCAST_IDS else gone, same, "left_anti")
     if not found.groupBy("doc_id", "raw").count().where("count > 1").isEmpty():  # repeated rows
         left = left.dropDuplicates(["doc_id", "_raw"])
