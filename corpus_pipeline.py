@@ -8,11 +8,11 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from sieveset.llm import exact_dedup, mixing, packing, quality, shingle_sets, simhash
+from sieveset.llm import exact_dedup, mixing, packing, quality, simhash
 from sieveset.llm.common import materialise, table
 
-#: Near copies: five words to a shingle, similarity 0.8 or more (``shingle_sets.LIMIT``).
-SHINGLE_WORDS = 5
+#: Near copies: five words to a shingle, Jaccard similarity of the sets of shingles 0.8 or more.
+SHINGLE_WORDS, SIMILARITY = 5, (4, 5)
 
 
 def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -26,8 +26,8 @@ def exact_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of near copies stays; links are pairs whose sets of shingles have a Jaccard similarity of 0.8 or more."""
-    return simhash.keep_leads(docs, shingle_sets.near_copies(docs, words=SHINGLE_WORDS))
+    """One document of each group of near copies stays: SimHash fingerprints meet at covering-code anchors, whole sets of shingles decide."""
+    return simhash.drop_similar(docs, words=SHINGLE_WORDS, limit=SIMILARITY)
 
 
 def mixing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
