@@ -120,16 +120,17 @@ def lead(doc_id: str, raw: str) -> Column:
 CELL_ROWS, SAMPLED = 4096, 64
 
 
-def dealt_cells(rows: DataFrame, members: DataFrame, spread: Callable[[DataFrame], DataFrame], key: str, member: str) -> DataFrame:
+def dealt_cells(rows: DataFrame, members: DataFrame, spread: Callable[[DataFrame], DataFrame], key: str, member: str, size: int | None = None) -> DataFrame:
     """``rows`` with i and j, partitioned by key, i and j, so that every two rows of a key meet in some cell of bounded size.
 
-    A key of about CELL_ROWS rows or more is cut into blocks by a hash of ``member``, and each row goes to all pairs of its block and
+    A key of about ``size`` (CELL_ROWS) rows or more is cut into blocks by a hash of ``member``, and each row goes to all pairs of its block and
     another one. Which keys those are is told from a sample of ``members``, which ``spread`` turns into rows; a wrong guess costs time and
     changes no result.
     """
+    size = size or CELL_ROWS
     few = members.where(F.pmod(F.xxhash64(F.lit(5), member), F.lit(SAMPLED)) == 0)
-    hot = spread(few).groupBy(key).agg(F.count("*").alias("_seen")).where(F.col("_seen") * SAMPLED >= CELL_ROWS)
-    hot = materialise(hot.withColumn("_blocks", F.ceil(F.col("_seen") * SAMPLED / CELL_ROWS).cast("int") + 1).drop("_seen"), "hot-keys")
+    hot = spread(few).groupBy(key).agg(F.count("*").alias("_seen")).where(F.col("_seen") * SAMPLED >= size)
+    hot = materialise(hot.withColumn("_blocks", F.ceil(F.col("_seen") * SAMPLED / size).cast("int") + 1).drop("_seen"), "hot-keys")
     if hot.isEmpty():
         out = rows.withColumns({"i": F.lit(0), "j": F.lit(0)})
     else:

@@ -5,14 +5,7 @@ Texts with one set (all blank ones, for instance) have one set id; a text of at
 
 from __future__ import annotations
 
-from collections.abc import Iterator
-
 import numpy as np
-import pyarrow as pa
-from pyspark.sql import DataFrame
-from pyspark.sql import functions as F
-
-from .common import BINARY, LONG, attach, fields, materialise, to_python
 
 SEED = 42
 WORDS = 5
@@ -42,32 +35,3 @@ def shingles(text: bytes | None, words: int = WORDS, seed: int = SEED) -> np.nda
 def similar(a: np.ndarray, b: np.ndarray, limit: tuple[int, int] = LIMIT) -> bool:
     both = len(np.intersect1d(a, b, assume_unique=True))
     return both * limit[1] >= (len(a) + len(b) - both) * limit[0]
-
-
-def _held(words: int, seed: int):
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            found = [shingles(t.as_py(), words, seed).tobytes() for t in batch.column("text")]
-            yield pa.RecordBatch.from_arrays([batch.column("sid"), pa.array(found, pa.binary())], ["sid", "held"])
-
-    return run
-
-
-def _verified(limit: tuple[int, int]):
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            ok = [similar(np.frombuffer(a.as_buffer(), np.uint64), np.frombuffer(b.as_buffer(), np.uint64), limit) for a, b in zip(batch.column("a"), batch.column("b"), strict=True)]
-            yield batch.select(["u", "v"]).filter(pa.array(ok, pa.bool_()))
-
-    return run
-
-
-def verify(pairs: DataFrame, texts: DataFrame, words: int, seed: int, limit: tuple[int, int]) -> DataFrame:
-    """Those of the distinct, written (u, v) whose whole sets are similar. ``texts`` has sid and one text of each sid that occurs."""
-    n = pairs.count()
-    held = materialise(to_python(texts, _held(words, seed), fields(sid=LONG, held=BINARY)), "near-sets")
-    out = pairs.select("u", "v")
-    for end, name in (("u", "a"), ("v", "b")):
-        sized = materialise(out.groupBy(end).count().join(held.withColumnRenamed("sid", end).withColumnRenamed("held", name), end), "near-held")
-        out = attach(out, sized, [end], n, "count").drop("count")
-    return materialise(to_python(out.select("u", "v", "a", "b"), _verified(limit), fields(u=LONG, v=LONG)), "near-links")

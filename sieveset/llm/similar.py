@@ -6,9 +6,10 @@ perfect Hamming codes, and its anchor is the tuple of the words' homes: code wor
 zero here, so a text is replicated to one anchor a part. Parts are as many as make two sets at the limit meet with probability RECALL;
 what meets is compared by 128 bits, what is near by those is checked on the whole sets, so no link is wrong.
 
-Links that the first round finds (each text with its least near partner of an anchor) are contracted to components; the second
-round takes all near pairs of an anchor that are in different components still. So a group of many copies costs
-few links, and no near pair that met is left out.
+At each anchor the texts that near pairs connect get links to one of them, so groups of any size give as many links as members. These
+loose components hold every near pair that met. Then each text goes, with its whole set, to its loose component, large
+ones cut into pairs of blocks, and all pairs there that the wide fingerprint allows are decided on their sets, unless they are
+linked already. No pair is ever a row of a join.
 
 Defined cases: texts with one set are one node and linked (all blank ones, for instance); a text of at most as many words as a shingle has one
 shingle; a null doc_id ranks after all others; repeated rows are one node; a very long text is hashed slab by slab; an empty
@@ -22,12 +23,12 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import INT, LONG, LONGS, attach, dealt_cells, fields, lead, materialise, to_python
+from .common import BINARY, INT, LONG, LONGS, attach, dealt_cells, fields, lead, materialise, to_python
 from .components import components
-from .shingle_sets import LIMIT, SEED, WORDS, shingles, verify
+from .shingle_sets import LIMIT, SEED, WORDS, shingles, similar
 
 #: Fingerprints of 64 bits each, and those of them that travel with every replica.
 FAMILIES, CARRIED = 9, 2
@@ -37,6 +38,10 @@ RECALL = 0.98
 CROWD = 4096
 #: Differing bits allowed of the carried 128: 3.9 deviations above the mean at a similarity of 0.8.
 NEAR_BITS = 36
+#: Whole sets that are compared together, about.
+SET_ROWS = 1024
+#: Texts with a near one are sent to all tasks up to so many, some 120 bytes each; beyond, texts meet them by a shuffle.
+BROADCAST_ROWS = 100_000
 #: Shingles whose bits are counted at a time.
 SLAB = 1 << 14
 
@@ -204,53 +209,68 @@ def _numbers(table: pa.Table, keys: tuple[str, ...]) -> np.ndarray:
 CELL = ("anchor", "i", "j")
 
 
-def _pairs(u: np.ndarray, v: np.ndarray) -> pa.RecordBatch:
-    both = np.unique(np.stack([np.minimum(u, v), np.maximum(u, v)], 1), axis=0) if len(u) else np.zeros((0, 2), np.int64)
-    return pa.RecordBatch.from_arrays([pa.array(np.ascontiguousarray(both[:, k])) for k in (0, 1)], ["u", "v"])
+def merge(root: np.ndarray, a: np.ndarray, b: np.ndarray) -> None:
+    """Joins the groups of rows a[k] and b[k]; ``root`` holds each row's least member, before and after."""
+    while True:
+        x, y = root[a], root[b]
+        apart = x != y
+        if not apart.any():
+            return
+        np.minimum.at(root, np.maximum(x, y)[apart], np.minimum(x, y)[apart])
+        while (root[root] != root).any():
+            root[:] = root[root]
 
 
-def _least_partners(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Rows sorted by cell and sid. Each row that has near partners is linked to the least of them."""
+def _loose_links(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Rows sorted by cell. Every text that near pairs of its cell connect to others is linked to one of them."""
     for table, group in whole_groups(batches, CELL):
         sid = table.column("sid").to_numpy()
         carried = [table.column(f"f{k}").to_numpy().view(_U) for k in range(CARRIED)]
-        least, then = np.full(len(sid), -1), np.full(len(sid), -1)
+        root = np.arange(len(sid))
         for rows, s in ahead(group):
+            rows = rows[root[rows] != root[rows + s]]
             near = rows[sum(np.bitwise_count(c[rows] ^ c[rows + s]) for c in carried) <= NEAR_BITS]
-            least[near + s] = near  # a longer step ends at a lesser sid
-            then[near] = np.where(then[near] < 0, near + s, then[near])
-        own = np.flatnonzero((least >= 0) | (then >= 0))
-        yield _pairs(sid[own], sid[np.where(least[own] >= 0, least[own], then[own])])
+            merge(root, near, near + s)
+        own = np.flatnonzero(root != np.arange(len(sid)))
+        yield _edges(sid[own], sid[root[own]])
 
 
-def _between_components(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Rows sorted by cell. All pairs of different components that are near by the carried and by the wide fingerprint."""
-    for table, group in whole_groups(batches, CELL):
-        sid, root, n = (table.column(c).to_numpy() for c in ("sid", "root", "n"))
-        wide = _matrix(table.column("wide"))
-        u, v = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
-        for rows, s in ahead(group):
-            rows = rows[root[rows] != root[rows + s]]
-            rows = rows[np.bitwise_count(wide[rows, :CARRIED] ^ wide[rows + s, :CARRIED]).sum(1, dtype=np.int64) <= NEAR_BITS]
-            bits = np.bitwise_count(wide[rows] ^ wide[rows + s]).sum(1, dtype=np.int64)
-            rows = rows[bits <= wide_limit(np.minimum(n[rows], n[rows + s]))]
-            u.append(sid[rows])
-            v.append(sid[rows + s])
-        yield _pairs(np.concatenate(u), np.concatenate(v))
+def _edges(u: np.ndarray, v: np.ndarray) -> pa.RecordBatch:
+    return pa.RecordBatch.from_arrays([pa.array(np.minimum(u, v)), pa.array(np.maximum(u, v))], ["u", "v"])
 
 
-def wide_limit(n: np.ndarray) -> np.ndarray:
-    """Differing bits allowed of all: 3.3 deviations above the mean at a similarity of 0.8, more for sets of few shingles."""
-    return 116 + 120 // np.maximum(n, 1)
+def _links(limit: tuple[int, int]):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        """Rows sorted by cell and size. A spanning forest of the pairs of a cell whose sets are similar."""
+        for table, group in whole_groups(batches, ("anchor", "i", "j")):
+            sid, n = table.column("sid").to_numpy(), table.column("n").to_numpy().astype(np.int64)
+            wide, held = _matrix(table.column("wide")), table.column("held")
+            root, found = np.arange(len(sid)), []
+            for rows, s in ahead(group):
+                rows = rows[(root[rows] != root[rows + s]) & (n[rows] * limit[1] >= n[rows + s] * limit[0])]
+                bits = np.bitwise_count(wide[rows] ^ wide[rows + s]).sum(1, dtype=np.int64)
+                for a in rows[bits <= wide_limit(n[rows])].tolist():
+                    if root[a] != root[a + s] and similar(np.frombuffer(held[a].as_buffer(), _U), np.frombuffer(held[a + s].as_buffer(), _U), limit):
+                        found.append((a, a + s))
+                        root[root == max(root[a], root[a + s])] = min(root[a], root[a + s])
+            ends = np.array(found, np.int64).reshape(-1, 2)
+            yield _edges(sid[ends[:, 0]], sid[ends[:, 1]])
+
+    return run
 
 
-def _wide_fits() -> Column:
-    bits = F.aggregate(F.zip_with("wide_u", "wide_v", lambda a, b: F.bit_count(a.bitwiseXOR(b))), F.lit(0), lambda total, x: total + x)
-    return bits <= 116 + F.expr("120 div greatest(1, least(n_u, n_v))")
+def _held(words: int, seed: int):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            found = [shingles(t.as_py(), words, seed).tobytes() for t in batch.column("text")]
+            yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in ("sid", "n", "wide", "anchor")), pa.array(found, pa.binary())], ["sid", "n", "wide", "anchor", "held"])
 
+    return run
 
-def _sizes_fit(limit: tuple[int, int]) -> Column:
-    return F.least("n_u", "n_v") * limit[1] >= F.greatest("n_u", "n_v") * limit[0]
+
+def wide_limit(n: np.ndarray) -> np.ndarray:
+    """Differing bits allowed of all: 3.3 deviations above the mean at a similarity of 0.8, more for sets of few shingles."""
+    return 116 + 120 // np.maximum(n, 1)
 
 
 def similar_copies(docs: DataFrame, words: int = WORDS, limit: tuple[int, int] = LIMIT, seed: int = SEED, codes: tuple[tuple[int, ...], int] | None = None) -> DataFrame:
@@ -266,22 +286,16 @@ def similar_copies(docs: DataFrame, words: int = WORDS, limit: tuple[int, int] =
     spread = lambda df: to_python(df, _spread(lengths, parts, seed), fields(anchor=LONG, sid=LONG, f0=LONG, f1=LONG))
 
     cells = dealt_cells(spread(asked.select("sid", "wide")), asked.select("sid", "wide"), spread, "anchor", "sid")
-    met = materialise(to_python(cells.sortWithinPartitions(*CELL, "sid"), _least_partners, fields(u=LONG, v=LONG)).distinct(), "near-met")
-    links, tried = _checked(met, nodes, rows, words, seed, limit)
-
-    # second round: texts that have a near partner, by their component
-    roots = components(links).withColumnRenamed("node", "sid")
-    live = met.select(F.col("u").alias("sid")).unionByName(met.select(F.col("v").alias("sid"))).distinct()
-    live = asked.join(live, "sid", "left_semi").join(roots, "sid", "left").withColumn("root", F.coalesce("root", "sid"))
+    loose = to_python(cells.sortWithinPartitions(*CELL).select(*CELL, "sid", "f0", "f1"), _loose_links, fields(u=LONG, v=LONG)).distinct()
+    clusters = components(loose).select(F.col("node").alias("sid"), F.col("root").alias("anchor"))
+    live = nodes.join(clusters, "sid").select("sid", "n", "wide", "anchor", F.col("least.doc_id").alias("_id"), F.col("least.raw").alias("_raw"))
     live = materialise(live, "near-live")
-    if not live.isEmpty():
-        named = lambda df: spread(df.select("sid", "wide")).select("anchor", "sid")
-        cells = dealt_cells(named(live), live, named, "anchor", "sid").join(live, "sid")
-        # dealt anew: the join has moved the rows
-        cells = cells.repartition(*CELL).sortWithinPartitions(*CELL)
-        more = to_python(cells.select(*CELL, "sid", "root", "n", "wide"), _between_components, fields(u=LONG, v=LONG)).distinct()
-        more = materialise(more.join(tried, ["u", "v"], "left_anti"), "near-met")
-        links = links.unionByName(_checked(more, nodes, rows, words, seed, limit)[0])
+    first = F.broadcast(live) if live.count() <= BROADCAST_ROWS else live
+    texts = rows.join(first, rows["doc_id"].eqNullSafe(first["_id"]) & (rows["raw"] == first["_raw"])).dropDuplicates(["sid"])
+    sets = to_python(texts.select("sid", "n", "wide", "anchor", "text"), _held(words, seed), fields(sid=LONG, n=INT, wide=LONGS, anchor=LONG, held=BINARY))
+    sets = materialise(sets, "near-sets")
+    cells = dealt_cells(sets, live.select("sid", "anchor"), lambda df: df, "anchor", "sid", SET_ROWS)
+    links = to_python(cells.select(*CELL, "sid", "n", "wide", "held").sortWithinPartitions(*CELL, "n", "sid"), _links(limit), fields(u=LONG, v=LONG))
 
     roots = components(links).withColumnRenamed("node", "sid")
     rooted = materialise(nodes.join(roots, "sid", "left").withColumn("root", F.coalesce("root", "sid")), "near-rooted")
@@ -290,13 +304,3 @@ def similar_copies(docs: DataFrame, words: int = WORDS, limit: tuple[int, int] =
     of_node = materialise(attach(rooted.select("sid", "class_size", "root"), whole, ["root"], max(1, n_nodes), "nodes").drop("nodes", "root"), "near-named")
     return attach(prints.select("doc_id", "raw", "sid"), of_node, ["sid"], max(1, n_rows), "class_size").select("doc_id", "raw", "component_id", "lead_raw")
 
-
-def _checked(met: DataFrame, nodes: DataFrame, rows: DataFrame, words: int, seed: int, limit: tuple[int, int]) -> tuple[DataFrame, DataFrame]:
-    """Links among pairs that met, and the pairs whose sets were compared. Sizes and wide fingerprints come first, whole sets last."""
-    ends = [nodes.select(F.col("sid").alias(e), F.col("n").alias(f"n_{e}"), F.col("wide").alias(f"wide_{e}")) for e in ("u", "v")]
-    tried = materialise(met.join(ends[0], "u").join(ends[1], "v").where(_sizes_fit(limit)).where(_wide_fits()).select("u", "v"), "near-tried")
-    of = tried.select(F.col("u").alias("sid")).unionByName(tried.select(F.col("v").alias("sid"))).distinct()
-    first = nodes.join(of, "sid", "left_semi").select("sid", F.col("least.doc_id").alias("_id"), F.col("least.raw").alias("_raw"))
-    first = materialise(first, "near-first")
-    texts = rows.join(first, rows["doc_id"].eqNullSafe(first["_id"]) & (rows["raw"] == first["_raw"])).select("sid", "text").dropDuplicates(["sid"])
-    return verify(tried, texts, words, seed, limit), tried

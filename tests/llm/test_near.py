@@ -69,6 +69,8 @@ def test_hot_anchors_are_cut_into_cells(spark, monkeypatch):
     docs = spark.createDataFrame(given, SCHEMA)
     monkeypatch.setattr(common, "CELL_ROWS", 4)
     monkeypatch.setattr(common, "SAMPLED", 1)
+    monkeypatch.setattr(similar, "SET_ROWS", 4)
+    monkeypatch.setattr(similar, "BROADCAST_ROWS", 0)
     assert {(r["doc_id"], r["text"]) for r in corpus_pipeline.near_stage(spark, docs, "").collect()} >= chains(given)
     cut = {(r["doc_id"], r["component_id"]) for r in simhash.near_copies(docs).collect()}
     monkeypatch.setattr(common, "CELL_ROWS", 1 << 30)
