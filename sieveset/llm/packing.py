@@ -25,7 +25,7 @@ import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import BINARY, LONG, fields, materialise, table, to_python
+from .common import BINARY, LONG, fields, materialise, release_memory, table, to_python
 
 LENGTH = 4096
 END_ID = 2
@@ -35,7 +35,9 @@ TOKENIZER = "word_bpe_49k.json"
 #: Rows that are ranked together and slices of running sums, on average at most.
 SLICE_ROWS = 32_768
 #: Documents whose words are looked up together.
-SLICE_DOCS = 2000
+SLICE_DOCS = 800
+#: Slices after which a worker gives freed memory back.
+TRIM_EVERY = 4
 #: Words whose ids a worker remembers: the first it meets, among which are the frequent ones.
 CACHE_WORDS = 600_000
 
@@ -58,28 +60,26 @@ class WordTokenizer:
         from tokenizers import Tokenizer
 
         self.inner = Tokenizer.from_file(path)
-        self.known: dict[str, int] = {}
-        self.flat, self.start, self.size = np.zeros(1 << 16, np.uint32), np.zeros(1 << 14, np.int64), np.zeros(1 << 14, np.int64)
+        self.words = pa.array([], pa.string())
+        self.flat, self.start, self.size = np.zeros(1 << 16, np.uint32), np.zeros(1 << 14, np.int64), np.zeros(1 << 14, np.int32)
         self.used = 0
 
-    def _learn(self, words: list[str]) -> None:
-        """Plain words go to the model itself; all else passes the vocabulary's other rules first."""
-        plain = [w.isascii() and w.isalpha() for w in words]
+    def _learn(self, words: list[str], first: int) -> None:
+        """Files the ids of words as entries ``first`` and on. Plain words go to the model itself; all else passes the vocabulary's other rules first."""
         model = self.inner.model
-        ids = {w: [t.id for t in model.tokenize(w)] for w, p in zip(words, plain, strict=True) if p}
-        rest = [w for w, p in zip(words, plain, strict=True) if not p]
+        ids: list = [[t.id for t in model.tokenize(w)] if w.isascii() and w.isalpha() else None for w in words]
+        rest = [i for i, x in enumerate(ids) if x is None]
         for at in range(0, len(rest), 10_000):
             some = rest[at : at + 10_000]
-            ids.update((w, e.ids) for w, e in zip(some, self.inner.encode_batch_fast(some, add_special_tokens=False), strict=True))
-        first = len(self.known)
-        self.known.update(zip(ids, range(first, first + len(ids)), strict=True))
-        sizes = np.fromiter(map(len, ids.values()), np.int64, len(ids))
+            for i, e in zip(some, self.inner.encode_batch_fast([words[i] for i in some], add_special_tokens=False), strict=True):
+                ids[i] = e.ids
+        sizes = np.fromiter(map(len, ids), np.int64, len(ids))
         total = int(sizes.sum())
         while self.used + total > len(self.flat):
             self.flat = np.concatenate([self.flat, np.zeros_like(self.flat)])
         while first + len(ids) > len(self.start):
             self.start, self.size = (np.concatenate([x, np.zeros_like(x)]) for x in (self.start, self.size))
-        self.flat[self.used : self.used + total] = np.fromiter((i for x in ids.values() for i in x), np.uint32, total)
+        self.flat[self.used : self.used + total] = np.fromiter((i for x in ids for i in x), np.uint32, total)
         self.start[first : first + len(ids)] = self.used + np.cumsum(sizes) - sizes
         self.size[first : first + len(ids)] = sizes
         self.used += total
@@ -95,18 +95,20 @@ class WordTokenizer:
         texts = pc.replace_substring_regex(texts, r"([a-z])([,.]+) ", r"\1 \2 ")
         words = pc.split_pattern(texts, " ")
         coded = words.flatten().dictionary_encode()
-        distinct = coded.dictionary.to_pylist()
-        before = self.used
-        passing = len(self.known) >= CACHE_WORDS
-        if new := [w for w in distinct if w not in self.known]:
-            self._learn(new)
-        code = np.fromiter(map(self.known.__getitem__, distinct), np.int64, len(distinct))[coded.indices.to_numpy()]
-        sizes = self.size[code]
+        entry = pc.fill_null(pc.index_in(coded.dictionary, value_set=self.words), -1).to_numpy().astype(np.int64)
+        missing = np.flatnonzero(entry < 0)
+        before, known = self.used, len(self.words)
+        if len(missing):
+            new = coded.dictionary.take(pa.array(missing))
+            entry[missing] = known + np.arange(len(missing))
+            self._learn(new.to_pylist(), known)
+        code = entry[coded.indices.to_numpy()]
+        sizes = self.size[code].astype(np.int64)
         ends = np.cumsum(sizes)
         out = self.flat[np.repeat(self.start[code] - (ends - sizes), sizes) + np.arange(int(sizes.sum()))]
-        if passing:  # words that come late are rare: they aren't kept
-            for w in new:
-                del self.known[w]
+        if len(missing) and known < CACHE_WORDS:
+            self.words = pa.concat_arrays([self.words, new])
+        else:  # words that come late are rare: they aren't kept
             self.used = before
         cuts = np.r_[0, ends][np.cumsum(pc.list_value_length(words).to_numpy())]
         found = np.split(out, cuts[:-1])
@@ -129,7 +131,10 @@ def _tokenize(path: str, length: int, end_id: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         words = _tokenizer(path)
         end = np.array([end_id], np.uint32)
-        for batch in (b.slice(at, SLICE_DOCS) for b in batches for at in range(0, max(1, b.num_rows), SLICE_DOCS)):
+        slices = (b.slice(at, SLICE_DOCS) for b in batches for at in range(0, max(1, b.num_rows), SLICE_DOCS))
+        for number, batch in enumerate(slices):
+            if number % TRIM_EVERY == 0:
+                release_memory()
             out: list[tuple] = []
             for doc, ids in zip(batch.column("doc_id").to_pylist(), words.ids_of(batch.column("text")), strict=True):
                 ids = np.concatenate([ids, end]).astype("<u4", copy=False)
