@@ -1,9 +1,12 @@
 """Copies of images by local descriptors.
 
 Corners are found at several scales by the Harris measure. Each gets an orientation, the direction of its patch's centre of
-brightness, and 256 binary tests that are turned with it. Descriptors are compared with all of a block of queries; those that agree in
-all but MAX_BITS bits are matches, whatever else is in the block. Of the matches of two images the largest set that one
-similarity (shift, turn, scale) explains must reach MIN_INLIERS.
+brightness, and 256 binary tests that are turned with it. The tests run across the orientation, so that either outcome is as likely and
+their bits tell much. Descriptors of a block of queries are filed in TABLES Hamming tables, each under KEY_BITS of their bits; an image's
+descriptors fetch those that share a key, and all that agree in all but MAX_BITS bits are matches, whatever else is in the block. Two
+images with MIN_VOTES matches of about one turn and scale are tried: of their matches the largest set that one similarity
+(shift, turn, scale) explains must reach MIN_INLIERS. A copy has many descriptors, of which the tables need not find every one;
+recall against all pairs is tested.
 
 An image is a struct of height, width and pixels (grey, a byte each). Equal images form a class and are searched once.
 
@@ -30,20 +33,28 @@ RADIUS = 10
 TESTS = 256
 TURNS = 36
 MAX_BITS = 44
-MIN_INLIERS = 11
+TABLES, KEY_BITS = 16, 24
+MIN_VOTES, MIN_INLIERS = 6, 11
 TOLERANCE = 2.5
 SEED = 3
 #: Queries that are looked up in one pass over the images.
 QUERY_BLOCK = 2000
-#: Descriptors that are compared at a time, so they stay in a core's cache.
-SLICE = 1 << 14
+#: Images of a task, about.
+TASK_IMAGES = 500
+#: Candidates that are compared at a time.
+SLICE = 1 << 18
 QUERY_EVERY = 100
 
 
 def _pattern() -> np.ndarray:
     """Offsets (turn, test, end, y/x) of the binary tests, for each turn."""
     rng = np.random.default_rng(SEED)
-    pairs = np.clip(rng.normal(0, RADIUS / 2.2, (TESTS, 2, 2)), -RADIUS * 0.7, RADIUS * 0.7)
+    pairs = np.zeros((0, 2, 2))
+    while len(pairs) < TESTS:  # those whose ends lie across the orientation, which points along x
+        more = np.clip(rng.normal(0, RADIUS / 2.2, (8 * TESTS, 2, 2)), -RADIUS * 0.7, RADIUS * 0.7)
+        dy, dx = np.abs(more[:, 1] - more[:, 0]).T
+        pairs = np.concatenate([pairs, more[(dy > 2.5 * dx) & (dy > 2)]])
+    pairs = pairs[:TESTS]
     angles = np.arange(TURNS) * 2 * np.pi / TURNS
     y = pairs[..., 0] * np.cos(angles)[:, None, None] + pairs[..., 1] * np.sin(angles)[:, None, None]
     x = -pairs[..., 0] * np.sin(angles)[:, None, None] + pairs[..., 1] * np.cos(angles)[:, None, None]
@@ -143,44 +154,64 @@ def _places(x: np.ndarray) -> int:
     return len({(round(y), round(z)) for y, z in x[:, :2].tolist()})
 
 
+_DRAWN = np.stack([np.random.default_rng(SEED + 1 + k).permutation(TESTS)[:KEY_BITS] for k in range(TABLES)])
+
+
+def table_keys(words: np.ndarray) -> np.ndarray:
+    """(descriptors, TABLES) of keys, each made of KEY_BITS bits drawn from all."""
+    bits = np.unpackbits(np.ascontiguousarray(words).view(np.uint8).reshape(len(words), TESTS // 8), axis=1, bitorder="little")
+    out = np.zeros((len(words), TABLES), np.int64)
+    for i in range(KEY_BITS):
+        out |= bits[:, _DRAWN[:, i]].astype(np.int64) << i
+    return out
+
+
 class QueryTables:
-    """Descriptors of a block of queries, by columns of 64 bits."""
+    """Hamming tables of the descriptors of a block of queries: each table's keys in order, with where they lead."""
 
     def __init__(self, queries: list[tuple[int, np.ndarray, np.ndarray]]):
         self.ids = np.array([q for q, p, _ in queries], np.int64)
         self.owner = np.concatenate([np.full(len(p), i) for i, (_, p, _) in enumerate(queries)] or [np.zeros(0, int)]).astype(np.int64)
         self.places = np.concatenate([p for _, p, _ in queries] or [np.zeros((0, 4))])
         self.words = np.ascontiguousarray(np.concatenate([w for _, _, w in queries] or [np.zeros((0, 4), np.uint64)]))
-        self.columns = [np.ascontiguousarray(self.words[:, k]) for k in range(4)]
-
-    def near(self, words: np.ndarray) -> list[np.ndarray]:
-        """For each word, all filed descriptors within MAX_BITS."""
-        found: list[list[np.ndarray]] = [[] for _ in words]
-        for at in range(0, len(self.words), SLICE):
-            columns = [c[at : at + SLICE] for c in self.columns]
-            held, bits, more = np.empty_like(columns[0]), np.empty(len(columns[0]), np.uint16), np.empty(len(columns[0]), np.uint8)
-            for i, w in enumerate(words):
-                bits[:] = 0
-                for c, x in zip(columns, w, strict=True):
-                    np.add(bits, np.bitwise_count(np.bitwise_xor(c, x, out=held), out=more), out=bits)
-                found[i].append(at + np.flatnonzero(bits <= MAX_BITS))
-        return [np.concatenate(f) if f else np.zeros(0, np.int64) for f in found]
+        # one table number above each key, so that one search serves all tables
+        keys = (table_keys(self.words) | np.arange(TABLES) << KEY_BITS).ravel()
+        order = np.argsort(keys, kind="stable")
+        self.keys, first = np.unique(keys[order], return_index=True)
+        self.filed, self.ends = (order // TABLES).astype(np.int32), np.r_[first, len(order)]
+
+    def near(self, words: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Matches as rows of ``words`` and numbers of filed descriptors: those that share a key and differ in MAX_BITS bits at most."""
+        asked = (table_keys(words) | np.arange(TABLES) << KEY_BITS).ravel()
+        at = np.minimum(np.searchsorted(self.keys, asked), len(self.keys) - 1)
+        hit = np.flatnonzero(self.keys[at] == asked)
+        start, size = self.ends[at[hit]], self.ends[at[hit] + 1] - self.ends[at[hit]]
+        found = [np.zeros(0, np.int64)]
+        for cut in np.split(np.arange(len(hit)), np.flatnonzero(np.diff(np.cumsum(size) // SLICE)) + 1):
+            n = size[cut]
+            if not len(n):
+                continue
+            mine = np.repeat(hit[cut] // TABLES, n)
+            theirs = self.filed[np.repeat(start[cut] - (np.cumsum(n) - n), n) + np.arange(int(n.sum()))]
+            both = np.unique(mine * len(self.words) + theirs)  # a pair may share several keys
+            mine, theirs = both // len(self.words), both % len(self.words)
+            found.append(both[np.bitwise_count(words[mine] ^ self.words[theirs]).sum(1, dtype=np.int64) <= MAX_BITS])
+        both = np.unique(np.concatenate(found))
+        return both // max(1, len(self.words)), both % max(1, len(self.words))
 
     def search(self, places: np.ndarray, words: np.ndarray) -> list[tuple[int, int, float, float]]:
         """(query, inliers, turn, scale) of the queries that one image agrees with."""
         if not len(words) or not len(self.words):
             return []
-        pairs = [i * len(self.words) + near for i, near in enumerate(self.near(words)) if len(near)]
-        if not pairs:
+        mine, theirs = self.near(words)
+        if not len(mine):
             return []
-        both = np.unique(np.concatenate(pairs))
-        mine, theirs = both // len(self.words), both % len(self.words)
         owner = self.owner[theirs]
         out = []
         order = np.argsort(owner, kind="stable")
-        sizes = np.bincount(owner)
+        sizes = np.bincount(owner, minlength=len(self.ids))
         ends = np.cumsum(sizes)
-        for q in np.flatnonzero(sizes >= MIN_INLIERS):
+        for q in np.flatnonzero((sizes >= MIN_INLIERS) & (self._votes(places[mine], self.places[theirs], owner) >= MIN_VOTES)):
             own = order[ends[q] - sizes[q] : ends[q]]
             if min(len(np.unique(theirs[own])), len(np.unique(mine[own]))) < MIN_INLIERS:
                 continue
@@ -189,6 +220,13 @@ class QueryTables:
                 out.append((int(self.ids[q]), n, turn, scale))
         return out
 
+    def _votes(self, a: np.ndarray, b: np.ndarray, owner: np.ndarray) -> np.ndarray:
+        """Of each query the most matches whose turns lie within three neighbouring steps and whose scales are about one."""
+        turn = np.rint((a[:, 2] - b[:, 2]) * TURNS / (2 * np.pi)).astype(np.int64) % TURNS
+        scale = np.rint(2 * np.log2(a[:, 3] / b[:, 3])).astype(np.int64) + 2
+        count = np.bincount((owner * 5 + scale) * TURNS + turn, minlength=len(self.ids) * 5 * TURNS).reshape(len(self.ids), 5, TURNS)
+        return (count + np.roll(count, 1, 2) + np.roll(count, -1, 2)).max((1, 2))
+
 
 IMAGE = T.StructType([T.StructField("height", INT), T.StructField("width", INT), T.StructField("pixels", BINARY)])
 
@@ -196,11 +234,11 @@ IMAGE = T.StructType([T.StructField("height", INT), T.StructField("width", INT),
 def _described(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         found = [describe(pixels(x)) for x in batch.column("image").to_pylist()]
-        yield pa.RecordBatch.from_arrays([batch.column("image_id"), pa.array([p.tobytes() for p, _ in found], pa.binary()), pa.array([w.tobytes() for _, w in found], pa.binary())], ["image_id", "places", "words"])
+        yield pa.RecordBatch.from_arrays([batch.column("image_id"), pa.array([p.astype(np.float32).tobytes() for p, _ in found], pa.binary()), pa.array([w.tobytes() for _, w in found], pa.binary())], ["image_id", "places", "words"])
 
 
 def _unpack(places: bytes, words: bytes) -> tuple[np.ndarray, np.ndarray]:
-    return np.frombuffer(places, float).reshape(-1, 4), np.frombuffer(words, np.uint64).reshape(-1, 4)
+    return np.frombuffer(places, np.float32).reshape(-1, 4).astype(float), np.frombuffer(words, np.uint64).reshape(-1, 4)
 
 
 def search(images: DataFrame, queries: DataFrame, block: int = QUERY_BLOCK) -> DataFrame:
@@ -212,8 +250,10 @@ def search(images: DataFrame, queries: DataFrame, block: int = QUERY_BLOCK) -> D
     spark = images.sparkSession
     kinds = fields(image_id=LONG, places=BINARY, words=BINARY)
     asked = materialise(to_python(queries.select("image_id", "image"), _described, kinds), "image-queries")
-    known = materialise(to_python(images.select("image_id", "image"), _described, kinds), "image-descriptors")
+    known = to_python(images.select("image_id", "image"), _described, kinds)
     n_blocks = max(1, -(-asked.count() // block))
+    if n_blocks > 1:  # described once, read for each block
+        known = materialise(known, "image-descriptors")
     schema = T.StructType([T.StructField("query_id", LONG), T.StructField("image_id", LONG), T.StructField("inliers", LONG), T.StructField("turn_degrees", T.DoubleType()), T.StructField("scale", T.DoubleType())])
     out = None
     for b in range(n_blocks):
@@ -302,7 +342,8 @@ def query(spark: SparkSession, sf_dir: str) -> DataFrame:
     vectors = table(spark, sf_dir, "embeddings").select(F.col("vec_id").cast("long").alias("image_id"), F.col("embedding").alias("vector"))
     distinct, members = image_classes(vectors, "vector")
     schema = T.StructType([T.StructField("image_id", LONG), T.StructField("image", IMAGE)])
-    images = to_python(distinct, _drawn(False), schema)
+    # rows are small and pictures are not: dealt by number, not by bytes
+    images = to_python(distinct.repartition(max(8, distinct.count() // TASK_IMAGES), "image_id"), _drawn(False), schema)
     asked = to_python(vectors.where(F.col("image_id") % QUERY_EVERY == 0), _drawn(True), schema)
     found = search(images, asked)
     none = F.lit(None)
