@@ -15,6 +15,7 @@ def corpus() -> list[tuple]:
     texts += ["ab" * 300, "xab" + "ab" * 200, say(30_000), texts[10] + " tail", texts[10] + " Tail", "Ünï <|endoftext|> it's 12,5 ,. x"]
     rows = [(i, t, "en" if i % 3 else "fr", f"src{i % 4 if i % 2 else 0}", None if t is None else len(t)) for i, t in enumerate(texts)]
     rows += [rows[2], rows[2], (900, None, None, None, None), (901, "Abc", None, "src1", 3), (901, "other text here", "en", None, 15)]
+    rows += [(None, "Abc", "en", "src1", 3), (None, texts[20], "en", "src2", 9), (None, texts[20] + " and more", None, "src2", 9), (None, passage, "fr", "src3", 7)]
     return rows
 
 

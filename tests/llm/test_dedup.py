@@ -20,7 +20,8 @@ def test_copies_against_brute_force(docs, rows, nothing):
     groups = defaultdict(list)
     for r in rows:
         groups[norm(r[1])].append(r[0])
-    want = Counter((r[0], max(groups[norm(r[1])]), len(groups[norm(r[1])]), hashlib.sha256(norm(r[1])).hexdigest()) for r in rows)
+    last = lambda ids: max(ids, key=lambda x: (x is not None, x or 0))
+    want = Counter((r[0], last(groups[norm(r[1])]), len(groups[norm(r[1])]), hashlib.sha256(norm(r[1])).hexdigest()) for r in rows)
     got = exact_dedup.find_copies(docs.withColumn("keep_id", F.lit("x")).withColumn("uid", F.lit(1))).collect()
     assert Counter((r["doc_id"], r["keep_id"], r["group_size"], r["text_sha256"]) for r in got) == want
     kept = Counter(r["text_sha256"] for r in got if r["kept"])
@@ -69,14 +70,15 @@ def test_near_copies_against_brute_force(docs, rows, nothing):
     least = list(range(len(rows)))
     changed = True
     ids = [r[0] for r in rows]
-    label = ids[:]
+    label = [(x is None, x) for x in ids]  # null ids come last
     while changed:
         changed = False
         for i in least:
             for j in least:
-                if (fps[i] ^ fps[j]).bit_count() <= 3 and label[j] < label[i]:
+                if (fps[i] ^ fps[j]).bit_count() <= 3 and label[j] != label[i] and (label[i][0] or not label[j][0] and label[j][1] < label[i][1]):
                     label[i] = label[j]
                     changed = True
+    label = [x for _, x in label]
     got = simhash.near_copies(docs).collect()
     assert Counter((r["doc_id"], r["fp"] % (1 << 64), r["component_id"]) for r in got) == Counter(zip(ids, fps, label, strict=True))
     assert simhash.near_copies(nothing).count() == 0

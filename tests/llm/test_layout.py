@@ -35,6 +35,18 @@ def test_matrix_margins():
     assert big.sum(1).tolist() == [3_000_000_000, 5_000_000_000] and (big > 0).all()
 
 
+def test_two_levels_of_the_matrix(docs, rows, monkeypatch):
+    """Blocks of few rows in several groups: sizes are exact, and the drawn rows add up."""
+    monkeypatch.setattr(sharding, "BLOCK_ROWS", 2)
+    monkeypatch.setattr(sharding, "GROUP_BLOCKS", 3)
+    got = sharding.assign_shards(docs, 5).collect()
+    by = Counter(r["shard"] for r in got)
+    assert len(got) == len(rows) and max(by.values()) - min(by.values()) <= 1
+    lacking = [7, 3, 5]
+    drawn = sharding.draw_rows([4, 0, 6, 5], lacking, np.random.default_rng(2))
+    assert drawn.sum(0).tolist() == lacking and drawn.sum(1).tolist() == [4, 0, 6, 5]
+
+
 def test_hypergeometric_law():
     rng = np.random.default_rng(1)
     draws = [sharding.hypergeometric(rng, 30, 70, 20) for _ in range(20_000)]
