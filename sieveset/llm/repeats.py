@@ -1,18 +1,18 @@
 """Repeated passages: every byte under a 200-byte string that also starts elsewhere is removed.
 
-Which windows of 200 bytes recur is decided exactly, over all documents:
+Which windows of 200 bytes recur is decided over all documents:
 
 1. Each window has an anchor, its least 48-byte string under a hash. Windows in a row with one anchor form a run. Equal
    windows have equal anchors, so a window whose anchor string occurs once cannot recur; its run is dropped.
-2. Runs whose anchor recurs are grouped with the text they span. Where the same span (128 bits of hash) occurs twice, all its
-   windows recur.
+2. Runs whose anchor recurs are grouped with the text they span. Where the same span occurs twice, all its windows recur. Spans are
+   told by two independent 64-bit hashes (a polynomial and XXH3) and their anchor; their bytes are not compared.
 3. The spans that are left are those on the edges of repeated passages. They are brought together by anchor, and a suffix
-   array, built by grouping suffixes on their Lyndon prefixes, finds which of their windows have an equal neighbour.
+   array, built by grouping suffixes on their Lyndon prefixes, finds which of their windows have an equal neighbour, byte by byte.
 
 Only hashes and positions move for all documents; text moves for the spans of step 3. Anchors of over HOT_SPANS different
-spans are dealt by window instead, so no anchor has to fit one task.
+spans are dealt by window instead, by two such hashes of each window, so no anchor has to fit one task.
 
-Defined cases: a null text is empty; matches never cross documents; a text of under 200 bytes loses nothing; repeated rows match
+Defined cases: a null text is empty; rows with a null doc_id are treated like all others; very long texts are hashed in slabs; matches never cross documents; a text of under 200 bytes loses nothing; repeated rows match
 each other; an empty table gives an empty result; further columns are ignored.
 """
 
@@ -42,6 +42,8 @@ SORT_BYTES = 1 << 18
 _BASE = 0x9E3779B97F4A7C15
 _INVERSE = pow(_BASE, -1, 1 << 64)
 _U = np.uint64
+#: Stands for a null doc_id while spans are looked for.
+NO_ID = -(1 << 63)
 
 
 def _powers(base: int, n: int) -> np.ndarray:
@@ -86,8 +88,16 @@ class Hasher:
         return _mixed((prefix[k:] - prefix[:-k]) * self.down[:n])
 
 
-def runs_of(data: bytes, hasher: Hasher) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """Anchor, span hash, first window and number of windows of each run of a text."""
+def second_hashes(data: bytes, start: np.ndarray, end: np.ndarray) -> np.ndarray:
+    """XXH3 of substrings, which shares nothing with the polynomial."""
+    from xxhash import xxh3_64_intdigest
+
+    view = memoryview(data)
+    return np.fromiter((xxh3_64_intdigest(view[a:b]) for a, b in zip(start.tolist(), end.tolist(), strict=True)), _U, len(start))
+
+
+def runs_of(data: bytes, hasher: Hasher) -> tuple[np.ndarray, ...]:
+    """Anchor, two span hashes, first window and number of windows of each run of a text."""
     out = []
     n_windows = len(data) - WINDOW + 1
     whole = np.frombuffer(data, np.uint8)
@@ -100,7 +110,8 @@ def runs_of(data: bytes, hasher: Hasher) -> tuple[np.ndarray, np.ndarray, np.nda
         place = (_window_minimum(tagged, WINDOW - GRAM + 1) & low).astype(np.int64)
         start = np.flatnonzero(np.r_[True, place[1:] != place[:-1]])
         count = np.diff(np.r_[start, len(place)])
-        out.append((grams[place[start]], hasher.spans(prefix, start, start + count - 1 + WINDOW), start + at, count))
+        end = start + count - 1 + WINDOW
+        out.append((grams[place[start]], hasher.spans(prefix, start, end), second_hashes(data, at + start, at + end), start + at, count))
     return tuple(np.concatenate(x) for x in zip(*out, strict=True))
 
 
@@ -115,9 +126,9 @@ def _runs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
                 owners.append(np.full(len(found[-1][0]), doc, np.int64))
                 tags.append(np.full(len(found[-1][0]), tag, np.int64))
         if found:
-            anchor, span, start, count = (np.concatenate(x) for x in zip(*found, strict=True))
-            cols = [anchor.view(np.int64), span.view(np.int64), np.concatenate(owners), np.concatenate(tags), start, count]
-            yield pa.RecordBatch.from_arrays([pa.array(c) for c in cols], ["anchor", "span", "doc_id", "tag", "start", "windows"])
+            anchor, span, span2, start, count = (np.concatenate(x) for x in zip(*found, strict=True))
+            cols = [anchor.view(np.int64), span.view(np.int64), span2.view(np.int64), np.concatenate(owners), np.concatenate(tags), start, count]
+            yield pa.RecordBatch.from_arrays([pa.array(c) for c in cols], ["anchor", "span", "span2", "doc_id", "tag", "start", "windows"])
 
 
 def _segments(flags: np.ndarray) -> list[tuple[int, int]]:
@@ -202,30 +213,30 @@ def _sort_spans(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 
 def _window_hashes(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Two hashes of each window of a span: of its bytes, and of its bytes backwards."""
+    """Two independent hashes of each window of a span."""
     hasher = Hasher()
     for batch in batches:
         for doc, tag, start, times, text in zip(*(batch.column(c).to_pylist() for c in ("doc_id", "tag", "start", "times", "text")), strict=True):
             data = np.frombuffer(text, np.uint8)
             first = np.arange(len(data) - WINDOW + 1)
             h1 = hasher.spans(hasher.prefix(data), first, first + WINDOW)
-            h2 = hasher.spans(hasher.prefix(data[::-1]), len(data) - first - WINDOW, len(data) - first)
+            h2 = second_hashes(text, first, first + WINDOW)
             cols = [h1.view(np.int64), h2.view(np.int64), np.full(len(first), doc), np.full(len(first), tag), first + start, np.full(len(first), times)]
             yield pa.RecordBatch.from_arrays([pa.array(np.asarray(c, np.int64)) for c in cols], ["h1", "h2", "doc_id", "tag", "at", "times"])
 
 
 def repeated_spans(docs: DataFrame) -> DataFrame:
-    """doc_id, tag (crc32 of the text) and spans, the maximal stretches (lo, hi) of bytes to remove, of documents that have any."""
+    """doc_id (NO_ID for null), tag (a hash of the text) and spans, the maximal stretches (lo, hi) of bytes to remove, of documents that have any."""
     rows = _texts(docs)
-    kinds = fields(anchor=LONG, span=LONG, doc_id=LONG, tag=LONG, start=LONG, windows=LONG)
+    kinds = fields(anchor=LONG, span=LONG, span2=LONG, doc_id=LONG, tag=LONG, start=LONG, windows=LONG)
     runs = materialise(to_python(rows, _runs, kinds), "repeat-runs")
     n = runs.count()
     again = materialise(runs.groupBy("anchor").agg(F.count("*").alias("uses")).where("uses > 1"), "repeat-anchors")
     shared = materialise(attach(runs, again, ["anchor"], n, "uses").drop("uses"), "repeat-shared")
     n = shared.count()
-    spans = shared.groupBy("anchor", "span").agg(F.count("*").alias("times"), F.min(F.struct("doc_id", "tag", "start", "windows")).alias("at"))
+    spans = shared.groupBy("anchor", "span", "span2").agg(F.count("*").alias("times"), F.min(F.struct("doc_id", "tag", "start", "windows")).alias("at"))
     spans = materialise(spans, "repeat-spans")
-    whole = attach(shared, spans.where("times > 1").select("anchor", "span", "times"), ["anchor", "span"], n, "times")
+    whole = attach(shared, spans.where("times > 1").select("anchor", "span", "span2", "times"), ["anchor", "span", "span2"], n, "times")
     whole = whole.select("doc_id", "tag", F.col("start").alias("lo"), (F.col("start") + F.col("windows") - 1 + WINDOW).alias("hi"))
 
     mixed = materialise(spans.groupBy("anchor").agg(F.count("*").alias("kinds")).where("kinds > 1"), "repeat-mixed")
@@ -264,8 +275,10 @@ def merged(spans):
 
 
 def _texts(docs: DataFrame) -> DataFrame:
+    """Rows with one id and text share what is found, so a null id may pass as any number."""
     data = F.coalesce(F.col("text"), F.lit("")).cast("binary")
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.crc32(data).alias("tag"), data.alias("text"))
+    own = F.col("doc_id").cast("long")
+    return docs.select(F.coalesce(own, F.lit(NO_ID)).alias("doc_id"), own.isNull().alias("none"), F.xxhash64(data).alias("tag"), data.alias("text"))
 
 
 def _remove(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -290,6 +303,7 @@ def remove_repeats(docs: DataFrame) -> DataFrame:
     """Per document: doc_id, n_bytes, n_removed, n_spans, kept_sha256 and the kept bytes."""
     spans = materialise(repeated_spans(docs), "repeat-found")
     rows = _texts(docs).join(spans.hint("shuffle_hash"), ["doc_id", "tag"], "left")
+    rows = rows.withColumn("doc_id", F.when(~F.col("none"), F.col("doc_id")))
     return to_python(rows.select("doc_id", "text", "spans"), _remove, fields(doc_id=LONG, n_bytes=LONG, n_removed=LONG, n_spans=LONG, kept_sha256=STRING, kept=BINARY))
 
 
