@@ -33,7 +33,7 @@ RADIUS = 10
 TESTS = 256
 TURNS = 36
 MAX_BITS = 44
-TABLES, KEY_BITS = 16, 24
+TABLES, KEY_BITS = 16, 28
 MIN_VOTES, MIN_INLIERS = 6, 11
 TOLERANCE = 2.5
 SEED = 3
@@ -211,7 +211,12 @@ class QueryTables:
         order = np.argsort(owner, kind="stable")
         sizes = np.bincount(owner, minlength=len(self.ids))
         ends = np.cumsum(sizes)
-        for q in np.flatnonzero((sizes >= MIN_INLIERS) & (self._votes(places[mine], self.places[theirs], owner) >= MIN_VOTES)):
+        often = np.flatnonzero(sizes >= MIN_INLIERS)
+        of = np.full(len(self.ids), -1)
+        of[often] = np.arange(len(often))
+        some = of[owner] >= 0
+        votes = self._votes(places[mine[some]], self.places[theirs[some]], of[owner[some]], len(often))
+        for q in often[votes >= MIN_VOTES]:
             own = order[ends[q] - sizes[q] : ends[q]]
             if min(len(np.unique(theirs[own])), len(np.unique(mine[own]))) < MIN_INLIERS:
                 continue
@@ -220,11 +225,14 @@ class QueryTables:
                 out.append((int(self.ids[q]), n, turn, scale))
         return out
 
-    def _votes(self, a: np.ndarray, b: np.ndarray, owner: np.ndarray) -> np.ndarray:
-        """Of each query the most matches whose turns lie within three neighbouring steps and whose scales are about one."""
+    @staticmethod
+    def _votes(a: np.ndarray, b: np.ndarray, owner: np.ndarray, n: int) -> np.ndarray:
+        """Of each owner the most matches whose turns lie within three neighbouring steps and whose scales are about one."""
+        if not n:
+            return np.zeros(0, np.int64)
         turn = np.rint((a[:, 2] - b[:, 2]) * TURNS / (2 * np.pi)).astype(np.int64) % TURNS
         scale = np.rint(2 * np.log2(a[:, 3] / b[:, 3])).astype(np.int64) + 2
-        count = np.bincount((owner * 5 + scale) * TURNS + turn, minlength=len(self.ids) * 5 * TURNS).reshape(len(self.ids), 5, TURNS)
+        count = np.bincount((owner * 5 + scale) * TURNS + turn, minlength=n * 5 * TURNS).reshape(n, 5, TURNS)
         return (count + np.roll(count, 1, 2) + np.roll(count, -1, 2)).max((1, 2))
 
 
