@@ -10,9 +10,10 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from sieveset.kernels.filters import three_cells
+from sieveset.functions.hashing import derived_seed, mix64_np
+from sieveset.kernels.filters import build, three_cells
 from sieveset.kernels.peel import peel_rounds
-from sieveset.operators.spec import attempt_seed, capacity
+from sieveset.operators.spec import FilterSpec, LoadExceeded, attempt_seed, capacity
 
 #: Bits per key as a multiple of log2(1/fpp) and an addend. A cuckoo filter at its fullest has 3 bits more than its fingerprints give.
 FULL_LOAD = 0.953
@@ -64,15 +65,13 @@ def space_table(spark: SparkSession, kinds: tuple[str, ...] = tuple(CURVES)) ->
     return grid.crossJoin(F.broadcast(curves)).select("kind", "log2_inverse_fpp", F.round((F.col("a") * F.col("log2_inverse_fpp") + F.col("b")) * 1000, 0).cast("long").alias("milli_bits"))
 
 
-def success_curve(keys: DataFrame, sizes: tuple[int, ...], extras: tuple[int, ...], trials: int, seed: int = 42) -> DataFrame:
-    """(size, extra, trials, successes) of the mapping step over sets of ``rank`` 1..size + trial, each trial with a seed of its own.
+def random_keys(trial: int, n: int, seed: int = 42) -> np.ndarray:
+    """A random set: mixed numbers, distinct as the mixer loses nothing."""
+    return mix64_np(np.arange(n, dtype=np.int64) + trial * (1 << 32), derived_seed(seed, 77)).view(np.int64)
 
-    ``keys`` has k64 and rank, of which at least the largest size plus ``trials`` must exist.
-    """
-    spark = keys.sparkSession
-    largest = max(sizes) + trials
-    pool = np.array([r[0] for r in keys.where(F.col("rank") <= largest).orderBy("rank").select("k64").collect()], np.int64)  # as many as the largest set
-    sent = spark.sparkContext.broadcast(pool)
+
+def success_curve(spark: SparkSession, sizes: tuple[int, ...], extras: tuple[int, ...], trials: int, seed: int = 42) -> DataFrame:
+    """(size, extra, trials, successes) of the mapping step over random sets, each trial with a set and a seed of its own."""
     plan = spark.range(trials).select(F.col("id").alias("trial")).crossJoin(spark.createDataFrame([(s, e) for s in sizes for e in extras], "size int, extra int"))
     kinds = T.StructType([T.StructField("size", T.IntegerType()), T.StructField("extra", T.IntegerType()), T.StructField("ok", T.LongType())])
 
@@ -81,12 +80,31 @@ def success_curve(keys: DataFrame, sizes: tuple[int, ...], extras: tuple[int, ..
             size, extra, ok = batch.column("size").to_pylist(), batch.column("extra").to_pylist(), []
             for s, e, t in zip(size, extra, batch.column("trial").to_pylist(), strict=True):
                 c = capacity(s, extra=e)
-                ok.append(int(peel_rounds(three_cells(sent.value[t : t + s], attempt_seed(seed, e, t), c), c) is not None))
+                ok.append(int(peel_rounds(three_cells(random_keys(t, s, seed), attempt_seed(seed, e, t), c), c) is not None))
             yield pa.RecordBatch.from_arrays([batch.column("size"), batch.column("extra"), pa.array(ok, pa.int64())], kinds.names)
 
     return plan.repartition("trial", "size").mapInArrow(run, kinds).groupBy("size", "extra").agg(F.count("*").alias("trials"), F.sum("ok").alias("successes"))
 
 
+def cuckoo_failures(spark: SparkSession, n: int, loads: tuple[int, ...], trials: int, seed: int = 42) -> DataFrame:
+    """(load, trials, failures) of filling a flexible cuckoo table with ``n`` random keys at the first seed, loads in hundredths."""
+    plan = spark.range(trials).select(F.col("id").alias("trial")).crossJoin(spark.createDataFrame([(x,) for x in loads], "load int"))
+    kinds = T.StructType([T.StructField("load", T.IntegerType()), T.StructField("failed", T.LongType())])
+
+    def run(batches):
+        for batch in batches:
+            failed = []
+            for load, t in zip(batch.column("load").to_pylist(), batch.column("trial").to_pylist(), strict=True):
+                try:
+                    build(random_keys(t, n, seed), FilterSpec("cuckoo", 12, load=load / 100, seed=seed + 1000 * t, max_attempts=1))
+                    failed.append(0)
+                except LoadExceeded:
+                    failed.append(1)
+            yield pa.RecordBatch.from_arrays([batch.column("load"), pa.array(failed, pa.int64())], kinds.names)
+
+    return plan.repartition("trial", "load").mapInArrow(run, kinds).groupBy("load").agg(F.count("*").alias("trials"), F.sum("failed").alias("failures"))
+
+
 def milli(bits: Column, keys: Column) -> Column:
     """Thousandths of bits per key, as a whole number."""
     return (bits * 1000 / keys).cast("long")

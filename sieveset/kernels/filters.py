@@ -5,7 +5,7 @@
 
 from __future__ import annotations
 
-from dataclasses import dataclass, field
+from dataclasses import dataclass, field, replace
 from itertools import combinations_with_replacement
 
 import numpy as np
@@ -53,6 +53,16 @@ class Built:
     aux: np.ndarray = field(default_factory=lambda: np.zeros(0, np.int64))
     empty: int = 0
     empty_last: int = 0
+    #: What probes derive from the arrays once and keep with them: a worker asks one filter batch after batch.
+    ready: dict = field(default_factory=dict, repr=False, compare=False)
+
+    def once(self, name: str, make):
+        if name not in self.ready:
+            self.ready[name] = make()
+        return self.ready[name]
+
+    def __getstate__(self):
+        return self.__dict__ | {"ready": {}}
 
 
 def fingerprints(keys: np.ndarray, seed: int, bits: int) -> np.ndarray:
@@ -92,6 +102,8 @@ def build_xor(keys: np.ndarray, spec: FilterSpec, shard: int = 0, values: np.nda
     wanted = fingerprints(keys, seed, spec.fp_bits) if values is None else values.astype(np.int64)
     table = assign(where, wanted, peeled, cells)
     seg1, seg2 = segments(cells)
+    if spec.kind == "xor_compact":
+        return compacted(build_xor(keys, replace(spec, kind="xor"), shard, values), spec)
     occupied = np.zeros(cells, bool)
     occupied[peeled[1]] = True
     out = Built(len(keys), cells, spec.fp_bits * cells, seed, attempts, seg1, seg2, 3, narrow(table, spec.fp_bits), empty=int((~occupied).sum()), empty_last=int((~occupied[seg2:]).sum()))
@@ -108,18 +120,36 @@ def _xor_contains(b: Built, spec: FilterSpec, keys: np.ndarray) -> np.ndarray:
     return xor_values(b, spec, keys) == fingerprints(keys, b.seed, spec.fp_bits)
 
 
+def compacted(b: Built, spec: FilterSpec) -> Built:
+    """Of a plain xor filter: occupied cells only, found by rank over the whole table. ``spec`` is of the kind xor_compact."""
+    bits = np.unpackbits(b.aux.view(np.uint8), count=b.capacity, bitorder="little").astype(bool)
+    rank = RANKS[spec.rank](to_words(bits))
+    total = spec.fp_bits * b.n_keys + b.capacity + rank.bits
+    return Built(b.n_keys, b.capacity, total, b.seed, b.attempts, b.seg1, b.seg2, 3, b.cells[bits], np.r_[rank.words.view(np.int64), rank.numbers()], b.empty, b.empty_last)
+
+
+def _ranked_cells(b: Built, spec: FilterSpec, at: np.ndarray, size: int, first: int) -> np.ndarray:
+    """Cells of a part of ``size`` places whose occupied ones lie from ``first`` on; empty ones read as 0."""
+
+    def ready():
+        n_words = -(-max(1, size) // 2048) * 32
+        return RANKS[spec.rank].of(b.aux[:n_words].view(np.uint64), b.aux[n_words:])
+
+    rank = b.once("rank", ready)
+    there = (rank.words[at >> 6] >> (at & 63).astype(np.uint64)) & np.uint64(1) == 1
+    place = np.where(there, first + rank.rank(at), 0)
+    return np.where(there, b.cells[np.minimum(place, max(0, len(b.cells) - 1))].astype(np.int64), 0)
+
+
 def xor_values(b: Built, spec: FilterSpec, keys: np.ndarray) -> np.ndarray:
     where = three_cells(keys, b.seed, b.capacity)
     mask = (1 << spec.fp_bits) - 1
+    if spec.kind == "xor_compact":
+        parts = [_ranked_cells(b, spec, row, b.capacity, 0) for row in where]
+        return (parts[0] ^ parts[1] ^ parts[2]) & mask
     out = b.cells[where[0]].astype(np.int64) ^ b.cells[where[1]].astype(np.int64)
     if spec.kind == "xor_plus":
-        n_words = len(to_words(np.zeros(b.capacity - b.seg2, bool)))
-        words = b.aux[:n_words].view(np.uint64)
-        rank = RANKS[spec.rank](words)
-        at = where[2] - b.seg2
-        there = (words[at >> 6] >> (at & 63).astype(np.uint64)) & np.uint64(1) == 1
-        place = np.where(there, b.seg2 + rank.rank(at), 0)
-        out = out ^ np.where(there, b.cells[np.minimum(place, len(b.cells) - 1)].astype(np.int64), 0)
+        out = out ^ _ranked_cells(b, spec, where[2] - b.seg2, b.capacity - b.seg2, b.seg2)
     else:
         out = out ^ b.cells[where[2]].astype(np.int64)
     return out & mask
@@ -133,10 +163,12 @@ def bloom_positions(keys: np.ndarray, seed: int, bits: int, hashes: int) -> np.n
 
 def build_bloom(keys: np.ndarray, spec: FilterSpec, shard: int = 0) -> Built:
     seed, m = attempt_seed(spec.seed, shard, 0), bloom_bits(len(keys), spec)
-    words = np.zeros(-(-m // 64), np.uint64)
-    for at in bloom_positions(keys, seed, m, spec.hashes):
-        np.bitwise_or.at(words, at >> 6, np.uint64(1) << (at & 63).astype(np.uint64))
-    return Built(len(keys), m, m, seed, num_hashes=spec.hashes, aux=words.view(np.int64))
+    flags = np.zeros(-(-m // 64) * 64, bool)
+    h = mix64_np(keys, role_seed(seed, PLACE))
+    first, second = high32(h), low32(h)
+    for i in range(spec.hashes):
+        flags[reduce_range_np(low32(first + np.uint64(i) * second), m)] = True
+    return Built(len(keys), m, m, seed, num_hashes=spec.hashes, aux=np.packbits(flags, bitorder="little").view(np.int64))
 
 
 def _bloom_contains(b: Built, spec: FilterSpec, keys: np.ndarray) -> np.ndarray:
@@ -162,17 +194,21 @@ def block_bits(keys: np.ndarray, seed: int, blocks: int) -> tuple[np.ndarray, np
 
 def build_blocked(keys: np.ndarray, spec: FilterSpec, shard: int = 0) -> Built:
     seed, blocks = attempt_seed(spec.seed, shard, 0), blocked_blocks(len(keys), spec)
-    words = np.zeros((blocks, 8), np.uint32)
+    flags = np.zeros(256 * blocks, bool)
     block, bits = block_bits(keys, seed, blocks)
     for j in range(8):
-        np.bitwise_or.at(words[:, j], block, np.uint32(1) << bits[j].astype(np.uint32))
-    return Built(len(keys), blocks, 256 * blocks, seed, num_hashes=8, aux=words.astype(np.int64).ravel())
+        flags[block * 256 + 32 * j + bits[j]] = True
+    words = np.packbits(flags, bitorder="little").view(np.uint32)
+    return Built(len(keys), blocks, 256 * blocks, seed, num_hashes=8, aux=words.astype(np.int64))
 
 
 def _blocked_contains(b: Built, spec: FilterSpec, keys: np.ndarray) -> np.ndarray:
     block, bits = block_bits(keys, b.seed, b.capacity)
-    words = b.aux.reshape(-1, 8)
-    return np.all([(words[block, j] >> bits[j]) & 1 for j in range(8)], axis=0) if len(keys) else np.zeros(0, bool)
+    words = b.once("words", lambda: b.aux.astype(np.uint32))
+    out = np.ones(len(keys), np.uint32)
+    for j in range(8):
+        out &= words[block * 8 + j] >> bits[j].astype(np.uint32)
+    return (out & 1).astype(bool)
 
 
 def cuckoo_places(keys: np.ndarray, seed: int, buckets: int, spec: FilterSpec) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -212,35 +248,39 @@ def build_cuckoo(keys: np.ndarray, spec: FilterSpec, shard: int = 0) -> Built:
 def _fill_cuckoo(keys: np.ndarray, seed: int, buckets: int, spec: FilterSpec) -> np.ndarray | None:
     """Slots by bucket; a key that finds both buckets full turns another out, which goes to its other bucket."""
     pow2 = spec.kind.endswith("pow2")
-    f, l1, l2 = (x.tolist() for x in cuckoo_places(keys, seed, buckets, spec))
-    other = alternate_bucket(np.zeros(1 << spec.fp_bits, np.int64), np.arange(1 << spec.fp_bits), seed, buckets, pow2).tolist() if spec.fp_bits <= 16 else None
-    table: list[list[int]] = [[] for _ in range(buckets)]
-    state = seed & 0xFFFFFFFF | 1
-    for x, a, b in zip(f, l1, l2, strict=True):
-        if len(table[a]) < SLOTS:
-            table[a].append(x)
-            continue
-        if len(table[b]) < SLOTS:
-            table[b].append(x)
-            continue
-        at = b
-        for _ in range(spec.max_kicks):
-            state = (state * 1664525 + 1013904223) & 0xFFFFFFFF
-            slot = state >> 30
-            x, table[at][slot] = table[at][slot], x
-            if other is None:
-                at = int(alternate_bucket(np.array([at]), np.array([x]), seed, buckets, pow2)[0])
-            else:
-                at = at ^ other[x] if pow2 else (other[x] - at) % buckets
-            if len(table[at]) < SLOTS:
-                table[at].append(x)
-                break
+    f, l1, l2 = cuckoo_places(keys, seed, buckets, spec)
+    held, fill, left = np.zeros((buckets, SLOTS), np.int64), np.zeros(buckets, np.int64), np.arange(len(keys))
+    for choice in (l1, l2):  # keys that find room in their first, then in their second bucket are placed at once
+        order = left[np.argsort(choice[left], kind="stable")]
+        bucket = choice[order]
+        start = np.flatnonzero(np.r_[True, bucket[1:] != bucket[:-1]]) if len(order) else np.zeros(0, np.int64)
+        nth = np.arange(len(order)) - np.repeat(start, np.diff(np.r_[start, len(order)])) + fill[bucket]
+        fits = nth < SLOTS
+        held[bucket[fits], nth[fits]] = f[order[fits]]
+        fill += np.bincount(bucket[fits], minlength=buckets)
+        left = order[~fits]
+    other = alternate_bucket(np.zeros(1 << spec.fp_bits, np.int64), np.arange(1 << spec.fp_bits), seed, buckets, pow2) if spec.fp_bits <= 16 else None
+    rng = np.random.default_rng(seed & 0xFFFFFFFF)
+    x, at = f[left], l2[left]
+    for _ in range(spec.max_kicks):  # in each round one key a bucket takes a free slot, or turns another out, which goes to its other bucket
+        if not len(x):
+            return held
+        bucket, own = np.unique(at, return_index=True)
+        room = fill[bucket] < SLOTS
+        held[bucket[room], fill[bucket[room]]] = x[own[room]]
+        fill[bucket[room]] += 1
+        full, own_full = bucket[~room], own[~room]
+        slot = rng.integers(0, SLOTS, len(full))
+        out = held[full, slot]
+        held[full, slot] = x[own_full]
+        if other is None:
+            to = alternate_bucket(full, out, seed, buckets, pow2)
         else:
-            return None
-    out = np.zeros((buckets, SLOTS), np.int64)
-    for i, bucket in enumerate(table):
-        out[i, : len(bucket)] = bucket
-    return out
+            to = full ^ other[out] if pow2 else (other[out] - full) % buckets
+        rest = np.ones(len(x), bool)
+        rest[own] = False
+        x, at = np.r_[x[rest], out], np.r_[at[rest], to]
+    return held if not len(x) else None
 
 
 def insert_cuckoo(b: Built, spec: FilterSpec, key: int) -> tuple[Built, str]:
@@ -263,9 +303,10 @@ def semisort_codes() -> dict[tuple[int, ...], int]:
 def semisort_pack(slots: np.ndarray, fp_bits: int) -> np.ndarray:
     """Per bucket a code for the sorted high 4 bits, then the low bits of each slot; 16 low bits at most fit one number."""
     low_bits = fp_bits - 4
-    codes = semisort_codes()
-    high = (slots >> low_bits).tolist()
-    out = np.array([codes[tuple(h)] for h in high], np.int64)
+    codes = np.zeros((16,) * SLOTS, np.int64)
+    for quadruple, code in semisort_codes().items():
+        codes[quadruple] = code
+    out = codes[tuple((slots >> low_bits).T)]
     for j in range(SLOTS):
         out |= (slots[:, j] & ((1 << low_bits) - 1)) << (12 + low_bits * j)
     return out
@@ -279,13 +320,26 @@ def semisort_unpack(packed: np.ndarray, fp_bits: int) -> np.ndarray:
     return (high << low_bits) | low
 
 
+_LANES, _TOPS = np.uint64(0x0001000100010001), np.uint64(0x8000800080008000)
+
+
+def _lanes(b: Built, spec: FilterSpec) -> np.ndarray:
+    """Each bucket as one number with four 16-bit lanes."""
+    slots = semisort_unpack(b.aux, spec.fp_bits) if "semisort" in spec.kind else b.cells.astype(np.int64) & ((1 << spec.fp_bits) - 1)
+    return np.ascontiguousarray(slots.reshape(-1, SLOTS).astype("<u2")).view("<u8").ravel()
+
+
 def _cuckoo_contains(b: Built, spec: FilterSpec, keys: np.ndarray) -> np.ndarray:
     f, l1, l2 = cuckoo_places(keys, b.seed, b.capacity, spec)
-    if "semisort" in spec.kind:
-        read = lambda at: semisort_unpack(b.aux[at], spec.fp_bits)
-    else:
-        slots = b.cells.reshape(-1, SLOTS)
-        read = lambda at: slots[at].astype(np.int64) & ((1 << spec.fp_bits) - 1)
+    if spec.fp_bits <= 16:
+        lanes, wanted = b.once("lanes", lambda: _lanes(b, spec)), f.astype(np.uint64) * _LANES
+        out = np.zeros(len(keys), bool)
+        for at in (l1, l2):  # a lane that is zero after the exclusive-or holds the fingerprint
+            x = lanes[at] ^ wanted
+            out |= ((x - _LANES) & ~x & _TOPS) != 0
+        return out
+    slots = b.cells.reshape(-1, SLOTS)
+    read = lambda at: slots[at].astype(np.int64) & ((1 << spec.fp_bits) - 1)
     return (read(l1) == f[:, None]).any(1) | (read(l2) == f[:, None]).any(1)
 
 
@@ -350,10 +404,24 @@ def gcs_decode(b: Built, spec: FilterSpec) -> np.ndarray:
 
 
 def _gcs_contains(b: Built, spec: FilterSpec, keys: np.ndarray) -> np.ndarray:
-    values = gcs_decode(b, spec)
+    """The stretch of a key is walked in the decoded sequence, about one value long; decoding is done once for a filter."""
+
+    def ready():
+        values = gcs_decode(b, spec)
+        return values.astype(np.uint32), np.searchsorted(values, np.arange(b.n_keys + 1) << spec.fp_bits).astype(np.int32)
+
+    values, first = b.once("decoded", ready)
     asked = gcs_values(keys, b.seed, b.n_keys, spec.fp_bits)
-    at = np.searchsorted(values, asked)
-    return (at < len(values)) & (values[np.minimum(at, len(values) - 1)] == asked)
+    slot = asked >> spec.fp_bits
+    at, end = first[slot], first[slot + 1]
+    out, live = np.zeros(len(keys), bool), np.flatnonzero(at < end)
+    asked, at, end = asked[live].astype(np.uint32), at[live], end[live]
+    while len(live):
+        hit = values[at] == asked
+        out[live[hit]] = True
+        on = ~hit & (at + 1 < end)
+        live, asked, at, end = live[on], asked[on], at[on] + 1, end[on]
+    return out
 
 
 def quotient_remainder(keys: np.ndarray, seed: int, q: int, r: int) -> np.ndarray:
@@ -384,17 +452,22 @@ def build_cqf(keys: np.ndarray, spec: FilterSpec, shard: int = 0, counts: np.nda
 def _cqf_find(b: Built, spec: FilterSpec, keys: np.ndarray) -> np.ndarray:
     """Slot of each key's remainder in its quotient's run, or -1."""
     r, n_words = spec.fp_bits, int(b.aux[0])
-    unpack = lambda w: np.unpackbits(w.view(np.uint8), bitorder="little").astype(bool)
-    occupied, ends = unpack(b.aux[1 : 1 + n_words]), unpack(b.aux[1 + n_words : 1 + 2 * n_words])
+
+    def ready():
+        unpack = lambda w: np.unpackbits(w.view(np.uint8), bitorder="little").astype(bool)
+        occupied, ends = unpack(b.aux[1 : 1 + n_words]), unpack(b.aux[1 + n_words : 1 + 2 * n_words])
+        used, end = np.flatnonzero(occupied), np.flatnonzero(ends)
+        begin_of, end_of = np.zeros(max(b.capacity, len(occupied)), np.int32), np.full(max(b.capacity, len(occupied)), -1, np.int32)
+        # a run begins after the run before it, and not before its quotient
+        begin_of[used], end_of[used] = np.maximum(np.r_[0, end[:-1] + 1][: len(used)], used), end[: len(used)]
+        return begin_of, end_of
+
+    begin_of, end_of = b.once("runs", ready)
     value = quotient_remainder(keys, b.seed, b.capacity.bit_length() - 1, r)
     quotient, wanted = value >> r, value & ((1 << r) - 1)
-    run = np.cumsum(occupied)[quotient] - 1
-    end = np.flatnonzero(ends)
     out = np.full(len(keys), -1, np.int64)
-    live = np.flatnonzero(occupied[quotient])
-    at = end[run[live]]
-    # a run begins after the run before it, and not before its quotient
-    begin = np.maximum(np.where(run[live] > 0, end[np.maximum(run[live] - 1, 0)] + 1, 0), quotient[live])
+    live = np.flatnonzero(end_of[quotient] >= 0)
+    at, begin = end_of[quotient[live]], begin_of[quotient[live]]
     while len(live):
         hit = (b.cells[at].astype(np.int64) & ((1 << r) - 1)) == wanted[live]
         out[live[hit]] = at[hit]
@@ -489,10 +562,12 @@ def _fill_morton(keys: np.ndarray, seed: int, blocks: int, spec: FilterSpec):
 def _morton_contains(b: Built, spec: FilterSpec, keys: np.ndarray) -> np.ndarray:
     per, marks = MORTON["buckets"], MORTON["overflow"]
     f, l1, l2 = _morton_places(keys, b.seed, b.capacity, spec.fp_bits)
-    counts = b.aux[: b.capacity * per].reshape(-1, per)
-    overflow = b.aux[b.capacity * per :].reshape(-1, marks)
-    slots = b.cells.reshape(b.capacity, -1).astype(np.int64) & ((1 << spec.fp_bits) - 1)
-    start = np.cumsum(counts, 1) - counts
+
+    def ready():
+        counts = b.aux[: b.capacity * per].reshape(-1, per)
+        return counts, b.aux[b.capacity * per :].reshape(-1, marks), b.cells.reshape(b.capacity, -1).astype(np.int64) & ((1 << spec.fp_bits) - 1), np.cumsum(counts, 1) - counts
+
+    counts, overflow, slots, start = b.once("blocks", ready)
 
     def held(bucket: np.ndarray) -> np.ndarray:
         block, own = bucket // per, bucket % per
@@ -517,6 +592,7 @@ def _exact_contains(b: Built, spec: FilterSpec, keys: np.ndarray) -> np.ndarray:
 _KINDS = {
     "xor": (build_xor, _xor_contains),
     "xor_plus": (build_xor, _xor_contains),
+    "xor_compact": (build_xor, _xor_contains),
     "bloom": (build_bloom, _bloom_contains),
     "blocked_bloom": (build_blocked, _blocked_contains),
     "cuckoo": (build_cuckoo, _cuckoo_contains),

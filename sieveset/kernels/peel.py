@@ -27,27 +27,75 @@ def peel_rounds(cells: np.ndarray, capacity: int) -> Peeled | None:
         np.bitwise_xor.at(mask, row, index)
     order, own, rounds = [], [], []
     single = np.flatnonzero(degree == 1)
+    mark = np.empty(max(n, capacity), np.int64)
     done, step = 0, 0
     while len(single):
-        keys, first = np.unique(mask[single], return_index=True)  # single is sorted, so the first is the least
+        keys = mask[single]
+        mark[keys] = np.arange(len(keys))  # of a key's several cells one keeps its mark
+        keys = keys[mark[keys] == np.arange(len(keys))]
+        c0, c1, c2 = cells[:, keys]
         order.append(keys)
-        own.append(single[first])
+        own.append(np.where(degree[c0] == 1, c0, np.where(degree[c1] == 1, c1, c2)))
         rounds.append(np.full(len(keys), step))
         done += len(keys)
         step += 1
-        touched = cells[:, keys].ravel()
+        touched = np.concatenate([c0, c1, c2])
         np.subtract.at(degree, touched, 1)
         np.bitwise_xor.at(mask, touched, np.tile(keys, 3))
-        touched = np.unique(touched)
-        single = touched[degree[touched] == 1]
+        touched = touched[degree[touched] == 1]
+        mark[touched] = np.arange(len(touched))
+        single = touched[mark[touched] == np.arange(len(touched))]
     if done < n:
         return None
     empty = [np.zeros(0, np.int64)]
     return np.concatenate(order or empty), np.concatenate(own or empty), np.concatenate(rounds or empty)
 
 
+#: From so many keys on the priority peel works in batches; of the free cells of the last part a batch takes one in LAST_SHARE.
+BATCHED_KEYS, LAST_SHARE = 100_000, 32
+
+
 def peel_priority(cells: np.ndarray, capacity: int, seg2: int) -> Peeled | None:
-    """One cell at a time; a cell of the last part is taken only when no other is free, which leaves that part emptiest."""
+    """A cell of the last part is taken only when no other is free, which leaves that part emptiest: one cell at a time, or for large
+    sets a small share of those that are free, which leaves half a percent less of the part empty and runs in vectors."""
+    return _priority_batches(cells, capacity, seg2) if cells.shape[1] >= BATCHED_KEYS else _priority_steps(cells, capacity, seg2)
+
+
+def _priority_batches(cells: np.ndarray, capacity: int, seg2: int, share: int = LAST_SHARE) -> Peeled | None:
+    n = cells.shape[1]
+    degree = np.bincount(cells.ravel(), minlength=capacity)
+    mask = np.zeros(capacity, np.int64)
+    for row in cells:
+        np.bitwise_xor.at(mask, row, np.arange(n))
+    mark = np.empty(max(n, capacity), np.int64)
+    single = np.flatnonzero(degree == 1)
+    near, last = single[single < seg2], single[single >= seg2]
+    order, own, rounds, done = [], [], [], 0
+    while len(near) or len(last := last[degree[last] == 1]):
+        if len(near):
+            now = near
+        else:
+            take = max(1, len(last) // share)
+            now, last = last[:take], last[take:]
+        keys = mask[now]
+        mark[keys] = np.arange(len(keys))  # of a key's several cells one keeps its mark
+        kept = mark[keys] == np.arange(len(keys))
+        keys = keys[kept]
+        rounds.append(np.full(len(keys), len(order)))
+        order.append(keys)
+        own.append(now[kept])
+        done += len(keys)
+        touched = cells[:, keys].ravel()
+        np.subtract.at(degree, touched, 1)
+        np.bitwise_xor.at(mask, touched, np.tile(keys, 3))
+        free = touched[degree[touched] == 1]
+        mark[free] = np.arange(len(free))
+        free = free[mark[free] == np.arange(len(free))]
+        near, last = free[free < seg2], np.concatenate([last, free[free >= seg2]])
+    return (np.concatenate(order), np.concatenate(own), np.concatenate(rounds)) if done == n else None
+
+
+def _priority_steps(cells: np.ndarray, capacity: int, seg2: int) -> Peeled | None:
     n = cells.shape[1]
     degree = np.bincount(cells.ravel(), minlength=capacity)
     mask = np.zeros(capacity, np.int64)

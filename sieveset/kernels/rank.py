@@ -24,6 +24,13 @@ class TwoLevelRank:
         for j in range(7):
             self.relative |= inside[:, j] << (9 * j)
 
+    @classmethod
+    def of(cls, words: np.ndarray, numbers: np.ndarray) -> TwoLevelRank:
+        """From a bitmap and the stored counts."""
+        out = cls.__new__(cls)
+        out.words, (out.absolute, out.relative) = words, np.ascontiguousarray(numbers.reshape(-1, 2).T)
+        return out
+
     bits = property(lambda self: 128 * len(self.absolute))
 
     def rank(self, at: np.ndarray) -> np.ndarray:
@@ -45,6 +52,12 @@ class SampledRank:
         self.words = words
         self.samples = np.r_[0, np.cumsum(np.bitwise_count(words).astype(np.int64).reshape(-1, 32).sum(1))[:-1]]
 
+    @classmethod
+    def of(cls, words: np.ndarray, numbers: np.ndarray) -> SampledRank:
+        out = cls.__new__(cls)
+        out.words, out.samples = words, numbers
+        return out
+
     bits = property(lambda self: 64 * len(self.samples))
 
     def rank(self, at: np.ndarray) -> np.ndarray:

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession
@@ -10,9 +10,11 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from sieveset.kernels import filters as K
-from sieveset.kernels.rank import RANKS, to_words
+from sieveset.kernels.rank import to_words
 from sieveset.kernels.sparse import pack_sparse, packed_bits, unpack_sparse
 
+from sieveset.sources.staging import materialise
+
 from .spec import FilterSpec, SchemaMismatch
 
 _CELLS = {np.int8: T.ByteType(), np.int16: T.ShortType(), np.int32: T.IntegerType(), np.int64: T.LongType()}
@@ -63,6 +65,11 @@ class FilterSet:
     def bits_total(self) -> int:
         return self.frame.agg(F.coalesce(F.sum("bits_total"), F.lit(0))).first()[0]
 
+    def stored_bytes(self) -> int:
+        """Bytes of the arrays as they are kept, which may be more than the bits that the structure needs."""
+        width = {T.ByteType: 1, T.ShortType: 2, T.IntegerType: 4, T.LongType: 8}[type(cell_type(self.spec))]
+        return self.frame.agg(F.coalesce(F.sum(F.size("cells").cast("long") * width + F.size("aux").cast("long") * 8), F.lit(0))).first()[0]
+
     def bits_per_key(self) -> float:
         n, bits = self.frame.agg(F.sum("n_keys"), F.sum("bits_total")).first()
         return bits / n if n else float("nan")
@@ -111,13 +118,21 @@ class FilterSet:
 
         return self.frame.mapInPandas(run, kinds)
 
-    def compact_full(self, rank: str = "two_level") -> DataFrame:
-        """Bits of the run-time form that keeps occupied cells only and finds them by rank over the whole table: one row per shard."""
-        overhead = 128 / 512 if rank == "two_level" else 64 / 2048
-        assert rank in RANKS
-        words = F.ceil(F.col("capacity") / 2048) * 2048
-        bits = F.col("n_keys") * F.col("fp_bits") + F.col("capacity") + (words * overhead).cast("long")
-        return self.frame.select("filter_id", "shard", "n_keys", bits.alias("bits_total"))
+    def compact_full(self, rank: str = "two_level") -> FilterSet:
+        """The run-time form that keeps occupied cells only and finds all three by rank over the whole table; asked like any other set."""
+        if self.spec.kind != "xor":
+            raise ValueError("only plain xor filters have empty cells to leave out")
+        old, spec = self.spec, replace(self.spec, kind="xor_compact", rank=rank)
+        kinds = schema(spec)
+
+        def run(frames):
+            import pandas as pd
+
+            for pdf in frames:
+                made = [to_row(K.compacted(from_row(r, old), spec), spec, r["filter_id"], r["shard"], r["shard_count"]) for r in pdf.to_dict("records")]
+                yield pd.DataFrame(made, columns=kinds.names)
+
+        return FilterSet(materialise(self.frame.mapInPandas(run, kinds), "filter"), spec, self.shard_count)
 
 
 def unpack(packed: DataFrame, spec: FilterSpec) -> DataFrame:

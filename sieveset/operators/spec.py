@@ -8,7 +8,7 @@ from dataclasses import asdict, dataclass, replace
 
 from sieveset.functions.hashing import derived_seed
 
-KINDS = ("xor", "xor_plus", "bloom", "blocked_bloom", "cuckoo", "cuckoo_pow2", "cuckoo_semisort", "cuckoo_semisort_pow2", "gcs", "cqf", "morton", "exact")
+KINDS = ("xor", "xor_plus", "xor_compact", "bloom", "blocked_bloom", "cuckoo", "cuckoo_pow2", "cuckoo_semisort", "cuckoo_semisort_pow2", "gcs", "cqf", "morton", "exact")
 #: Roles of derived seeds.
 SHARD, CELL0, CELL1, CELL2, PRINT, PLACE, ALTERNATE = range(7)
 

@@ -17,7 +17,7 @@ from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 from sieveset.kernels import filters as K
 from sieveset.operators.build import build_filter
 from sieveset.operators.filterset import FilterSet
-from sieveset.operators.probe import prefilter, probe
+from sieveset.operators.probe import prefilter
 from sieveset.operators.spec import FilterSpec
 from sieveset.sources.staging import shared_dir, table
 
@@ -58,58 +58,53 @@ def run_to_end(stream: DataFrame, mode: str) -> DataFrame:
     return spark.read.schema(stream.schema).parquet(f"{base}/out")
 
 
-#: Who counts as a buyer: every third one (the queries of the plain names), or all.
-_THIRD, _ALL = "event_type = 'purchase' and user_id % 3 = 0", "event_type = 'purchase'"
+_BUYERS = "event_type = 'purchase'"
+_BOUGHT = f"user_id in (select user_id from events where {_BUYERS})"
 
 
-def buyers(spark: SparkSession, sf_dir: str, who: str = _ALL) -> FilterSet:
-    return build_filter(table(spark, sf_dir, "events").where(who), "user_id", FilterSpec("exact"), shards=1)
+def buyers(spark: SparkSession, sf_dir: str, spec: FilterSpec | None = None) -> FilterSet:
+    """A filter of all who bought."""
+    return build_filter(table(spark, sf_dir, "events").where(_BUYERS), "user_id", spec or FilterSpec("xor"))
 
 
-def asked_of_buyers(name: str, sql: Callable[[str], str]):
-    """Registers f(spark, d, who) under its name for every third buyer and under ``name_all`` for all buyers."""
-
-    def add(f):
-        for full, who in ((name, _THIRD), (f"{name}_all", _ALL)):
-            query(full, sql(f"user_id in (select user_id from events where {who})"))(lambda spark, d, who=who: f(spark, d, who))
-        return f
-
-    return add
+def bought(spark: SparkSession, sf_dir: str, stream: DataFrame, spec: FilterSpec | None = None) -> DataFrame:
+    """Events of buyers: the filter drops most others inside the stream, a join with the static set verifies what is left."""
+    exact = table(spark, sf_dir, "events").where(_BUYERS).select("user_id").distinct()
+    return prefilter(buyers(spark, sf_dir, spec), stream, "user_id", "udf").join(exact, "user_id", "left_semi")
 
 
-@asked_of_buyers("stream_probe", lambda bought: f"select event_type, count(*) as n from events where {bought} group by event_type")
-def _(spark, d, who):
+@query("stream_probe", f"select event_type, count(*) as n from events where {_BOUGHT} group by event_type")
+def _(spark, d):
     """A stateless probe inside the stream."""
-    said = probe(buyers(spark, d, who), events(spark, d), "user_id", "udf").where("maybe_member = 1")
-    return run_to_end(said.select("event_id", "event_type"), "append").groupBy("event_type").agg(F.count("*").alias("n"))
+    return run_to_end(bought(spark, d, events(spark, d)).select("event_id", "event_type"), "append").groupBy("event_type").agg(F.count("*").alias("n"))
 
 
 def _windows(width: str, slide: str | None = None):
-    def run(spark, d, who):
-        hits = prefilter(buyers(spark, d, who), events(spark, d), "user_id", "udf")
+    def run(spark, d):
+        hits = bought(spark, d, events(spark, d))
         by = hits.groupBy(F.window("ts", width, slide) if slide else F.window("ts", width)).agg(F.count("*").alias("n"))
         return run_to_end(by, "complete").select(F.col("window.start").alias("win"), "n").select(to_ntz("win").alias("win"), "n")
 
     return run
 
 
-asked_of_buyers("stream_tumbling", lambda bought: f"select date_trunc('day', ts) as win, count(*) as n from events where {bought} group by 1")(_windows("1 day"))
-asked_of_buyers("stream_sliding", lambda bought: f"select win, count(*) as n from (select unnest([date_trunc('day', ts), date_trunc('day', ts) - interval 1 day]) as win from events where {bought}) group by win")(_windows("2 days", "1 day"))
+query("stream_tumbling", f"select date_trunc('day', ts) as win, count(*) as n from events where {_BOUGHT} group by 1")(_windows("1 day"))
+query("stream_sliding", f"select win, count(*) as n from (select unnest([date_trunc('day', ts), date_trunc('day', ts) - interval 1 day]) as win from events where {_BOUGHT}) group by win")(_windows("2 days", "1 day"))
 
 
-@asked_of_buyers("stream_session", lambda bought: f"""with e as (select user_id, ts, case when ts - lag(ts) over (partition by user_id order by ts) < interval 12 hours then 0 else 1 end as fresh from events where {bought}),
+@query("stream_session", f"""with e as (select user_id, ts, case when ts - lag(ts) over (partition by user_id order by ts) < interval 12 hours then 0 else 1 end as fresh from events where {_BOUGHT}),
     s as (select user_id, sum(fresh) over (partition by user_id order by ts rows unbounded preceding) as session from e),
     c as (select user_id, session, count(*) as n from s group by user_id, session) select n as events_in_session, count(*) as sessions from c group by n""")
-def _(spark, d, who):
-    hits = prefilter(buyers(spark, d, who), events(spark, d), "user_id", "udf")
+def _(spark, d):
+    hits = bought(spark, d, events(spark, d))
     sessions = hits.groupBy("user_id", F.session_window("ts", "12 hours")).agg(F.count("*").alias("n"))
     return run_to_end(sessions, "complete").groupBy(F.col("n").alias("events_in_session")).agg(F.count("*").alias("sessions"))
 
 
-@asked_of_buyers("stream_late", lambda bought: f"with w as (select date_trunc('day', ts) as win, count(*) as n from events where {bought} group by 1) select win, n from w where win < (select date_trunc('day', max(ts) - interval 10 minutes) from events)")
-def _(spark, d, who):
+@query("stream_late", f"with w as (select date_trunc('day', ts) as win, count(*) as n from events where {_BOUGHT} group by 1) select win, n from w where win < (select date_trunc('day', max(ts) - interval 10 minutes) from events)")
+def _(spark, d):
     """With a watermark, windows that may still change are held back; in append mode only closed ones come out."""
-    hits = prefilter(buyers(spark, d, who), events(spark, d).withWatermark("ts", "10 minutes"), "user_id", "udf")
+    hits = bought(spark, d, events(spark, d).withWatermark("ts", "10 minutes"), FilterSpec("bloom", bits_per_key=12))
     by = hits.groupBy(F.window("ts", "1 day")).agg(F.count("*").alias("n"))
     return run_to_end(by, "append").select(F.col("window.start").alias("win"), "n").select(to_ntz("win").alias("win"), "n")
 
@@ -162,6 +157,14 @@ def seen_before(stream: DataFrame, key: str, shards: int = 4, spec: FilterSpec |
     return rows.groupBy("shard").applyInPandasWithState(step, kind, state_kind, "append", GroupStateTimeout.NoTimeout)
 
 
+@query("stream_keys_seen", "select count(*) as rows, count(distinct event_id) as keys from (select event_id from events union all select event_id from events)")
+def _(spark, d):
+    """Keys by the thousands a shard, so that many generations are sealed and asked; the table streams twice, so every filter meets its members."""
+    both = events(spark, d).select("event_id")
+    out = run_to_end(seen_before(both.select(F.explode(F.array("event_id", "event_id")).alias("event_id")), "event_id"), "append")
+    return out.agg(F.count("*").alias("rows"), F.sum("first").cast("long").alias("keys"))
+
+
 @query("stream_seen_before", "select count(*) as events, count(distinct user_id) as users from events")
 def _(spark, d):
     out = run_to_end(seen_before(events(spark, d), "user_id"), "append")
@@ -183,10 +186,13 @@ def swapping(versions: Callable[[int], FilterSet], out: str) -> Callable[[DataFr
     return step
 
 
-@asked_of_buyers("stream_swap_version", lambda bought: f"select count(*) as n from events where {bought}")
-def _(spark, d, who):
+@query("stream_swap_version", f"select count(*) as n from events where {_BOUGHT}")
+def _(spark, d):
     base = f"{shared_dir(spark)}/sieveset/stream-{uuid.uuid4().hex}"
     made: dict[int, FilterSet] = {}
-    versions = lambda batch_id: made.setdefault(batch_id // 10, buyers(spark, d, who))
+    versions = lambda batch_id: made.setdefault(batch_id // 10, buyers(spark, d))
     events(spark, d).writeStream.option("checkpointLocation", f"{base}/state").trigger(availableNow=True).foreachBatch(swapping(versions, f"{base}/out")).start().awaitTermination()
-    return spark.read.schema("event_id long, batch_id long").parquet(f"{base}/out").agg(F.count("*").alias("n"))
+    found = spark.read.schema("event_id long, batch_id long").parquet(f"{base}/out")
+    found = found.join(table(spark, d, "events").select("event_id", "user_id"), "event_id")
+    exact = table(spark, d, "events").where(_BUYERS).select("user_id").distinct()
+    return found.join(exact, "user_id", "left_semi").agg(F.count("*").alias("n"))

@@ -49,10 +49,20 @@ def test_every_oracle_has_a_query():
     assert len(registry.queries()) > 100
 
 
-def test_success_curve(spark, sf_dir):
-    got = {(r["size"], r["extra"]): r["successes"] for r in registry.queries()["success_curve_small"](spark, sf_dir).collect()}
-    for size in (3, 9, 27, 81, 243):
-        assert got[size, 16] <= got[size, 64] + 8 and got[size, 64] >= 90
+def test_cuckoo_tables_fail_more_often_when_fuller(spark, sf_dir):
+    got = {r["load"]: r["failures"] for r in registry.queries()["cuckoo_failures"](spark, sf_dir).collect()}
+    assert got[94] <= 1 and got[98] >= 25 and got[94] <= got[95] <= got[96] <= got[98]
+
+
+def test_compact_form_of_a_written_set(spark, sf_dir):
+    """Bits charged are bits written, up to padding of the bitmap to whole groups of words."""
+    from sieveset.operators.spec import FilterSpec
+    from sieveset.plans import workloads as W
+
+    fs = W.standard_filter(spark, sf_dir, FilterSpec("xor"))
+    for rank in ("two_level", "sparse_samples"):
+        small = fs.compact_full(rank)
+        assert 0 <= 8 * small.stored_bytes() - small.bits_total() < 2048
 
 
 def test_filters_spare_reads(spark, sf_dir):

@@ -6,7 +6,7 @@ import pytest
 from sieveset.plans import registry
 
 
-@pytest.mark.parametrize(("name", "rows"), [("lateral_probe_all", 4500), ("udtf_cells_all", 4500), ("runs_range_prune_all", None)])
+@pytest.mark.parametrize(("name", "rows"), [("lateral_probe", 4500), ("udtf_cells", 4500), ("runs_range_prune", None)])
 def test_whole_tables(spark, sf_dir, name, rows):
     con = duckdb.connect()
     for t in ("orders", "lineitem"):
