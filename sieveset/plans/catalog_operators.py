@@ -431,7 +431,7 @@ def _(spark, d):
     held = e.where("event_type = 'purchase'").join(versions, F.col("at") < F.col("since")).select("version", "user_id").distinct()
     held = materialise(held, "versions")
     fs = build_filter_per_group(held, ["version"], "user_id", FilterSpec("xor", 16))
-    reported = e.select("user_id").distinct().select("user_id", F.explode(probe_groups(fs, F.col("user_id").cast("long"))).cast("int").alias("version"))
+    reported = e.select("user_id").distinct().select("user_id", F.explode(probe_groups(fs, F.col("user_id").cast("long"))).alias("version")).withColumn("version", F.col("version").cast("int"))
     known = reported.join(held, ["version", "user_id"], "left_semi").withColumn("known", F.lit(1))
     asof = e.join(versions, F.col("since") <= F.col("at")).groupBy("event_id").agg(F.max_by("version", "since").alias("version"), F.first("user_id").alias("user_id"))
     return asof.join(known, ["version", "user_id"], "left").groupBy("version").agg(F.count("*").alias("n"), F.count("known").alias("known"))
