@@ -37,8 +37,8 @@ def mixing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame
 
 
 def packing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Sequences of at most 4096 tokens."""
-    return packing.pack(docs)
+    """Sequences of at most 4096 tokens. Workers come here with what the stages before left in memory, so they take the lean setting."""
+    return packing.pack(docs, slice_docs=200, cache_words=50_000)
 
 
 STAGES = [
