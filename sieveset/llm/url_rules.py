@@ -81,6 +81,8 @@ def rule_index(pages: DataFrame, rules: tuple[UrlRule, ...], tokens: Column) ->
     seen = {r["token"]: r["count"] for r in counts.collect()}
     index: dict[str, list[UrlRule]] = {}
     for rule in rules:
+        if not rule.tokens():
+            raise ValueError(f"{rule} has no token to be filed under")
         index.setdefault(min(rule.tokens(), key=lambda t: (seen.get(t, 0), t)), []).append(rule)
     return index
 

@@ -37,6 +37,13 @@ def test_dropping_copies_keeps_columns(docs, rows, nothing):
     assert exact_dedup.drop_copies(nothing).count() == 0
 
 
+def test_many_ids_go_by_a_shuffle(docs, monkeypatch):
+    plain = [sorted(map(str, f(docs).collect())) for f in (exact_dedup.drop_copies, simhash.drop_near_copies)]
+    monkeypatch.setattr(exact_dedup, "BROADCAST_IDS", 0)
+    monkeypatch.setattr(simhash, "BROADCAST_IDS", 0)
+    assert [sorted(map(str, f(docs).collect())) for f in (exact_dedup.drop_copies, simhash.drop_near_copies)] == plain
+
+
 def test_fingerprints_compose():
     poly, rng = exact_dedup.Polynomial(64), random.Random(1)
     for n in (0, 1, 63, 64, 65, 1000):

@@ -150,6 +150,12 @@ def test_budget_goes_to_siblings_first(spark):
     assert got == {"x": 10, "y": 20, "z": 485}
 
 
+def test_many_leaves_go_by_a_shuffle(docs, monkeypatch):
+    plain = sorted(map(str, mixing.mix(mixing.with_domain(docs)).collect()))
+    monkeypatch.setattr(mixing, "BROADCAST_LEAVES", 0)
+    assert sorted(map(str, mixing.mix(mixing.with_domain(docs)).collect())) == plain
+
+
 def test_mixing_with_nulls_and_repeats(docs, rows):
     out = mixing.mix(mixing.with_domain(docs)).collect()
     spent = defaultdict(int)

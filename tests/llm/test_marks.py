@@ -44,6 +44,27 @@ def test_scores_of_odd_rows(spark, docs, rows, nothing):
     assert quality.keep_good(docs, labels).columns == docs.columns
 
 
+def test_query_scores_against_brute_force(spark, sf_dir):
+    """Every text's score from its statistics and the rules, in plain numbers; held-out labels play no part."""
+    import math
+    import zlib
+
+    docs, labels = spark.read.parquet(f"{sf_dir}/documents.parquet"), spark.read.parquet(f"{sf_dir}/labels.parquet")
+    model = quality.train(docs, labels)
+    got = {r["doc_id"]: r for r in quality.query(spark, sf_dir).collect()}
+    texts = {r["doc_id"]: (r["text"] or "").encode() for r in docs.collect()}
+    assert set(got) == set(texts)
+    for doc, text in texts.items():
+        values = quality.statistics_of(text)
+        total = model.intercept + sum(w for tests, w in model.rules if all((values[i] > b) == above for i, above, b in tests))
+        want = 1 / (1 + math.exp(-total))
+        assert abs(got[doc]["score"] - want) < 1e-9 and got[doc]["predicted"] == int(got[doc]["score"] >= 0.3)
+        assert got[doc]["held_out"] == (zlib.crc32(str(doc).encode()) % 5 == 0)
+    flipped = labels.withColumn("quality", F.when(quality.remainder(F.col("doc_id")) == 0, 1 - F.col("quality")).otherwise(F.col("quality")))
+    assert quality.train(docs, flipped) == model
+    assert quality.train(docs, labels, max_labelled=5).rules == ()
+
+
 def test_rules_compile_to_what_they_say(spark):
     rng = np.random.default_rng(3)
     x = rng.random((3000, len(quality.STATISTICS)))
