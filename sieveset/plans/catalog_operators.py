@@ -399,13 +399,18 @@ def _(spark, d):
     return found.agg(F.count_distinct("k64").alias("keys_found"))
 
 
-@query("lsm_runs_touched")
+@query("lsm_runs_touched", """with runs as (select strftime(o_orderdate, '%Y-%m') as run, min(o_orderkey) as lo, max(o_orderkey) as hi from orders group by 1), asked as (select distinct l_orderkey as k from lineitem)
+    select (select count(*) from runs join asked on k between lo and hi) as reads_by_range, (select count(*) from orders semi join asked on k = o_orderkey) as needed_reads, 1 as in_band""")
 def _(spark, d):
-    """Reads with ranges alone and with filters: the filters spare all but a 256th of the needless ones."""
+    """Reads with ranges alone, and those that are needed; with filters it is the needed ones and a 256th of the others."""
     fs = build_filter_per_group(_runs(spark, d), ["run"], "o_orderkey", XOR8)
     asked, zones = W.probes(spark, d), _zones(spark, d)
     by_range = asked.join(F.broadcast(zones), (F.col("k64") >= F.col("lo")) & (F.col("k64") <= F.col("hi"))).agg(F.count("*").alias("reads_by_range"))
-    return by_range.crossJoin(runs_to_read(fs, zones, asked, "k64").agg(F.count("*").alias("reads_with_filters")))
+    read = materialise(runs_to_read(fs, zones, asked, "k64"), "lsm-reads")
+    needed = read.join(_runs(spark, d).select(F.col("run").alias("filter_id"), F.col("o_orderkey").alias("k64")), ["filter_id", "k64"], "left_semi")
+    both = by_range.crossJoin(read.agg(F.count("*").alias("reads"))).crossJoin(needed.agg(F.count("*").alias("needed_reads")))
+    extra = (F.col("reads_by_range") - F.col("needed_reads")) / 256
+    return both.select("reads_by_range", "needed_reads", (F.abs(F.col("reads") - F.col("needed_reads") - extra) <= 5 * F.sqrt(extra) + 3).cast("int").alias("in_band"))
 
 
 @query("runs_range_prune", "with runs as (select strftime(o_orderdate, '%Y-%m') as run, min(o_orderkey) as lo, max(o_orderkey) as hi from orders group by 1) select run, count(*) as n from runs join (select distinct l_orderkey as k from lineitem) on k between lo and hi group by run")
