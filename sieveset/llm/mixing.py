@@ -89,16 +89,17 @@ def standard_weights() -> dict[str, Column]:
     }
 
 
-def mix(docs: DataFrame, levels: tuple[str, ...] = LEVELS, weights: dict[str, Column] | None = None, budget_share: int = BUDGET_SHARE, max_epochs: int = MAX_EPOCHS, seed: int = SEED, text: str = "text", id_col: str = "doc_id") -> DataFrame:
+def mix(docs: DataFrame, levels: tuple[str, ...] = LEVELS, weights: dict[str, Column] | None = None, budget_share: int = BUDGET_SHARE, max_epochs: int = MAX_EPOCHS, seed: int = SEED, text: str = "text", id_col: str = "doc_id", counted: str | None = None) -> DataFrame:
     """The chosen documents, once for each epoch that takes them, with epoch, tokens, leaf_tokens, leaf_budget, taken_before (-1 where a whole epoch is taken).
 
     A leaf may hold any share of the rows. Its order is cut into slices by the leading digits of the seeded hash;
-    running sums are taken inside slices and over the slices' sums, so no task gets a whole leaf.
+    running sums are taken inside slices and over the slices' sums, so no task gets a whole leaf. ``counted`` names a column of
+    ``docs`` with tokens that are counted already; without it texts are counted in each of the four passes.
     """
     weights = weights or standard_weights()
     made = ("epoch", "tokens", "leaf_tokens", "leaf_budget", "taken_before")
     keep = [c for c in docs.columns if c.lower() not in made]
-    rows = docs.select(*keep, whitespace_tokens(F.col(text)).alias("tokens"))
+    rows = docs.select(*keep, (F.col(counted).cast("long") if counted else whitespace_tokens(F.col(text))).alias("tokens"))
     leaves = materialise(rows.groupBy(*levels).agg(F.sum("tokens").alias("_tokens"), F.count("*").alias("_rows")), "mix-leaves")
     digits = max(2, math.ceil(math.log(max(1, (leaves.agg(F.sum("_rows")).first()[0] or 1) / SLICE_ROWS), 16)))
     budgets = materialise(leaf_budgets(leaves.drop("_rows"), weights, levels, budget_share, max_epochs), "mix-budgets")
@@ -125,7 +126,8 @@ def mix(docs: DataFrame, levels: tuple[str, ...] = LEVELS, weights: dict[str, Co
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = with_domain(table(spark, sf_dir, "documents").select("doc_id", "lang", "source", "text"))
-    return mix(docs).select("doc_id", *LEVELS, "epoch", "tokens", "leaf_tokens", "leaf_budget", "taken_before")
+    light = materialise(docs.select("doc_id", *LEVELS, whitespace_tokens(F.col("text")).alias("tokens")), "mix-counted")  # texts are read once
+    return mix(light, counted="tokens").select("doc_id", *LEVELS, "epoch", "tokens", "leaf_tokens", "leaf_budget", "taken_before")
 
 
 def _share_sql(name: str, source: str, parent: list[str], node: str, path: list[str]) -> str:
