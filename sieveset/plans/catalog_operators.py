@@ -499,11 +499,15 @@ def _(spark, d):
     return lines.agg(F.count("*").alias("lines")).crossJoin(kept.agg(F.count("*").alias("kept"))).select("lines", "kept", (F.col("lines") - F.col("kept")).alias("dropped"))
 
 
-@query("page_host_block", "select page_id from pages where regexp_extract(url, '://([^/?#]*)', 1) like '%spam-farm%' or regexp_extract(url, '://([^/?#]*)', 1) like '%cheap-pills%'")
+_HOST = "regexp_extract(url, '://([^/?#]*)', 1)"
+
+
+@query("page_host_block", f"select page_id from pages where {_HOST} in (select {_HOST} from pages where page_id % 2 = 0 and ({_HOST} like '%spam-farm%' or {_HOST} like '%cheap-pills%'))")
 def _(spark, d):
-    """Blocked addresses: a filter of hosts in front of the exact list."""
-    pages = table(spark, d, "pages").select("page_id", F.expr("parse_url(url, 'HOST')").alias("host"))
-    blocked = materialise(pages.where("host like '%spam-farm%' or host like '%cheap-pills%'").select("host").distinct(), "hosts")
+    """Blocked addresses: hosts reported by one half of the crawl are a filter, in front of the exact list, that all pages are asked of."""
+    pages = table(spark, d, "pages").select("page_id", F.regexp_extract("url", "://([^/?#]*)", 1).alias("host"))
+    reported = pages.where("page_id % 2 = 0 and (host like '%spam-farm%' or host like '%cheap-pills%')")
+    blocked = materialise(reported.select("host").distinct(), "hosts")
     return prefilter(build_filter(blocked, "host", XOR8), pages, "host").join(blocked, "host", "left_semi").select("page_id")
 
 
