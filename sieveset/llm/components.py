@@ -1,13 +1,17 @@
-"""Connected components of a graph given as edges, by alternating star contractions."""
+"""Connected components of a graph given as edges, by alternating star contractions; redundant edges go first by spanning forests of parts."""
 
 from __future__ import annotations
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialise
+from .common import LONG, fields, materialise
 
 MAX_ROUNDS = 60
+#: Edges of a part, about; a task joins them to a spanning forest in memory.
+PART_EDGES = 1 << 19
 
 
 def _both(edges: DataFrame) -> DataFrame:
@@ -28,6 +32,48 @@ def _small_star(edges: DataFrame) -> DataFrame:
     return moved.unionByName(least.select("u", F.col("m").alias("v"))).distinct()
 
 
+def merge(root: np.ndarray, a: np.ndarray, b: np.ndarray) -> None:
+    """Joins the groups of rows a[k] and b[k]; ``root`` holds each row's least member, before and after."""
+    while True:
+        x, y = root[a], root[b]
+        apart = x != y
+        if not apart.any():
+            return
+        np.minimum.at(root, np.maximum(x, y)[apart], np.minimum(x, y)[apart])
+        while (root[root] != root).any():
+            root[:] = root[root]
+
+
+def _stars(part: pa.Table) -> pa.Table:
+    """Every node of some edges, linked to the least that it hangs together with."""
+    ends = np.stack([part.column(c).to_numpy() for c in ("u", "v")])
+    nodes, at = np.unique(ends, return_inverse=True)
+    at, root = at.reshape(ends.shape), np.arange(len(nodes))
+    merge(root, at[0], at[1])
+    own = np.flatnonzero(root != np.arange(len(nodes)))
+    return pa.table({"u": nodes[own], "v": nodes[root[own]]})
+
+
+def forest_components(edges: DataFrame) -> DataFrame:
+    """``components`` of edges of longs that link many nodes many times over.
+
+    Edges are dealt to parts by their larger end, and each part keeps stars with the same components. Edges that go from nodes to
+    a few small ones fall to about one a node that way. A single part is settled by its stars; what several parts leave goes through the rounds.
+    """
+    now = materialise(edges.where("u != v").select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).distinct(), "edges")
+    n = now.count()
+    while n:
+        parts = -(-n // PART_EDGES)
+        dealt = now.withColumn("part", F.pmod(F.xxhash64(F.lit(7), "u"), F.lit(parts)))
+        now = materialise(dealt.groupBy("part").applyInArrow(_stars, fields(u=LONG, v=LONG)), "stars")
+        if parts == 1:
+            return _named(now)
+        before, n = n, now.count()
+        if 3 * n > 2 * before:
+            break
+    return components(now)
+
+
 def components(edges: DataFrame) -> DataFrame:
     """(node, root) for every node of an edge; ``root`` is the least node of its component.
 
@@ -46,4 +92,8 @@ def components(edges: DataFrame) -> DataFrame:
         mark = seen
     else:
         raise RuntimeError(f"components: not settled after {MAX_ROUNDS} rounds")
-    return now.select(F.col("u").alias("node"), F.col("v").alias("root")).unionByName(now.select(F.col("v").alias("node"), F.col("v").alias("root")).distinct())
+    return _named(now)
+
+
+def _named(stars: DataFrame) -> DataFrame:
+    return stars.select(F.col("u").alias("node"), F.col("v").alias("root")).unionByName(stars.select(F.col("v").alias("node"), F.col("v").alias("root")).distinct())

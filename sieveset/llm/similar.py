@@ -6,7 +6,7 @@ perfect Hamming codes, and its anchor is the tuple of the words' homes: code wor
 zero here, so a text is replicated to one anchor a part. Parts are as many as make two sets at the limit meet with probability RECALL;
 what meets is compared by 128 bits, what is near by those is checked on the whole sets, so no link is wrong.
 
-At each anchor the texts that near pairs connect get links to one of them, so groups of any size give as many links as members. These
+At each anchor the texts that near pairs connect get links to the least of them, so groups of any size give as many links as members, which many anchors share. These
 loose components hold every near pair that met. Then each text goes, with its whole set, to its loose component, large
 ones cut into pairs of blocks, and all pairs there that the wide fingerprint allows are decided on their sets, unless they are
 linked already. No pair is ever a row of a join.
@@ -27,7 +27,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import BINARY, INT, LONG, LONGS, attach, dealt_cells, fields, lead, materialise, to_python
-from .components import components
+from .components import forest_components, merge
 from .shingle_sets import LIMIT, SEED, WORDS, shingles, similar
 
 #: Fingerprints of 64 bits each, and those of them that travel with every replica.
@@ -209,20 +209,8 @@ def _numbers(table: pa.Table, keys: tuple[str, ...]) -> np.ndarray:
 CELL = ("anchor", "i", "j")
 
 
-def merge(root: np.ndarray, a: np.ndarray, b: np.ndarray) -> None:
-    """Joins the groups of rows a[k] and b[k]; ``root`` holds each row's least member, before and after."""
-    while True:
-        x, y = root[a], root[b]
-        apart = x != y
-        if not apart.any():
-            return
-        np.minimum.at(root, np.maximum(x, y)[apart], np.minimum(x, y)[apart])
-        while (root[root] != root).any():
-            root[:] = root[root]
-
-
 def _loose_links(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Rows sorted by cell. Every text that near pairs of its cell connect to others is linked to one of them."""
+    """Rows sorted by cell and sid. Every text that near pairs of its cell connect to others is linked to the one of least sid, so cells that share texts share links."""
     for table, group in whole_groups(batches, CELL):
         sid = table.column("sid").to_numpy()
         carried = [table.column(f"f{k}").to_numpy().view(_U) for k in range(CARRIED)]
@@ -241,20 +229,19 @@ def _edges(u: np.ndarray, v: np.ndarray) -> pa.RecordBatch:
 
 def _links(limit: tuple[int, int]):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        """Rows sorted by cell and size. A spanning forest of the pairs of a cell whose sets are similar."""
+        """Rows sorted by cell and size. Texts that pairs of similar sets of a cell connect, linked to the first of them."""
         for table, group in whole_groups(batches, ("anchor", "i", "j")):
             sid, n = table.column("sid").to_numpy(), table.column("n").to_numpy().astype(np.int64)
             wide, held = _matrix(table.column("wide")), table.column("held")
-            root, found = np.arange(len(sid)), []
+            root = np.arange(len(sid))
             for rows, s in ahead(group):
                 rows = rows[(root[rows] != root[rows + s]) & (n[rows] * limit[1] >= n[rows + s] * limit[0])]
                 bits = np.bitwise_count(wide[rows] ^ wide[rows + s]).sum(1, dtype=np.int64)
                 for a in rows[bits <= wide_limit(n[rows])].tolist():
                     if root[a] != root[a + s] and similar(np.frombuffer(held[a].as_buffer(), _U), np.frombuffer(held[a + s].as_buffer(), _U), limit):
-                        found.append((a, a + s))
                         root[root == max(root[a], root[a + s])] = min(root[a], root[a + s])
-            ends = np.array(found, np.int64).reshape(-1, 2)
-            yield _edges(sid[ends[:, 0]], sid[ends[:, 1]])
+            own = np.flatnonzero(root != np.arange(len(sid)))
+            yield _edges(sid[own], sid[root[own]])
 
     return run
 
@@ -286,8 +273,8 @@ def similar_copies(docs: DataFrame, words: int = WORDS, limit: tuple[int, int] =
     spread = lambda df: to_python(df, _spread(lengths, parts, seed), fields(anchor=LONG, sid=LONG, f0=LONG, f1=LONG))
 
     cells = dealt_cells(spread(asked.select("sid", "wide")), asked.select("sid", "wide"), spread, "anchor", "sid")
-    loose = to_python(cells.sortWithinPartitions(*CELL).select(*CELL, "sid", "f0", "f1"), _loose_links, fields(u=LONG, v=LONG)).distinct()
-    clusters = components(loose).select(F.col("node").alias("sid"), F.col("root").alias("anchor"))
+    loose = to_python(cells.sortWithinPartitions(*CELL, "sid").select(*CELL, "sid", "f0", "f1"), _loose_links, fields(u=LONG, v=LONG)).distinct()
+    clusters = forest_components(loose).select(F.col("node").alias("sid"), F.col("root").alias("anchor"))
     live = nodes.join(clusters, "sid").select("sid", "n", "wide", "anchor", F.col("least.doc_id").alias("_id"), F.col("least.raw").alias("_raw"))
     live = materialise(live, "near-live")
     first = F.broadcast(live) if live.count() <= BROADCAST_ROWS else live
@@ -297,7 +284,7 @@ def similar_copies(docs: DataFrame, words: int = WORDS, limit: tuple[int, int] =
     cells = dealt_cells(sets, live.select("sid", "anchor"), lambda df: df, "anchor", "sid", SET_ROWS)
     links = to_python(cells.select(*CELL, "sid", "n", "wide", "held").sortWithinPartitions(*CELL, "n", "sid"), _links(limit), fields(u=LONG, v=LONG))
 
-    roots = components(links).withColumnRenamed("node", "sid")
+    roots = forest_components(links).withColumnRenamed("node", "sid")
     rooted = materialise(nodes.join(roots, "sid", "left").withColumn("root", F.coalesce("root", "sid")), "near-rooted")
     whole = rooted.groupBy("root").agg(F.min("least").alias("lead"), F.count("*").alias("nodes"))
     whole = materialise(whole.select("root", F.col("lead.doc_id").alias("component_id"), F.col("lead.raw").alias("lead_raw"), "nodes"), "near-components")

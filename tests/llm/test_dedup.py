@@ -129,6 +129,20 @@ def test_components_of_a_long_chain(spark):
     assert components.components(spark.createDataFrame([], "u long, v long")).count() == 0
 
 
+@pytest.mark.parametrize("part_edges", [1 << 19, 100])
+def test_links_repeated_over_many_anchors_go_before_the_rounds(spark, monkeypatch, part_edges):
+    """A group of 400 with links to eight of its members each, a chain and a pair: one link a node, and a few a part, are left for joins."""
+    joined, rounds = [], components.components
+    monkeypatch.setattr(components, "components", lambda edges: joined.append(edges.count()) or rounds(edges))
+    monkeypatch.setattr(components, "PART_EDGES", part_edges)
+    edges = [(u, v) for u in range(8, 400) for v in range(8)] + [(i, i + 1) for i in range(1000, 1030)] + [(-5, 5000), (7, 7)]
+    random.Random(1).shuffle(edges)
+    got = {r["node"]: r["root"] for r in components.forest_components(spark.createDataFrame(edges, "u long, v long")).collect()}
+    assert got == dict.fromkeys(range(400), 0) | dict.fromkeys(range(1000, 1031), 1000) | {-5: -5, 5000: -5}
+    assert joined == [] if part_edges > len(edges) else 430 <= joined[0] < 600
+    assert components.forest_components(spark.createDataFrame([], "u long, v long")).count() == 0
+
+
 def test_forest_keeps_components():
     rng = np.random.default_rng(1)
     x = rng.integers(0, 1 << 10, 60, dtype=np.uint64)
